@@ -14,8 +14,7 @@ the whole radius-2 ball of every fingerprint would shuffle about a thousand rows
 
 from __future__ import annotations
 
-from functools import partial
-from itertools import combinations
+from itertools import combinations, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -38,7 +37,7 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
     if not words:
         return 0
     rows = zip(*(words[i:] for i in range(shingle))) if len(words) >= shingle else [words]
-    hashes = np.array(list(map(partial(xxhash.xxh64_intdigest, seed=SEED), map(b" ".join, rows))), dtype="<u8")
+    hashes = np.fromiter(map(xxhash.xxh64_intdigest, map(b" ".join, rows), repeat(SEED)), dtype="<u8")
     ones = np.zeros(BITS, dtype=np.int64)
     for at in range(0, len(hashes), 1 << 16):
         part = hashes[at:at + (1 << 16)]
