@@ -120,6 +120,7 @@ def report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, max_score (null without spans)."""
     f = find(docs, id_col, text_col)
     f = f.select("doc_id", "base", F.concat("base", "added").alias("both"))
-    counts = [F.size(F.filter("base", lambda x, k=k: x["kind"] == k)).cast("long").alias(f"n_{k}") for k in BASE_KINDS]
+    of = lambda k: F.filter("base", lambda x: x["kind"] == k)
+    counts = [F.size(of(k)).cast("long").alias(f"n_{k}") for k in BASE_KINDS]
     return f.select("doc_id", *counts, F.sha2(_joined(F.col("base")), 256).alias("base_sha256"), _joined(F.col("both")).alias("spans"),
                     F.array_max(F.transform("both", lambda x: x["score"])).alias("max_score"))
