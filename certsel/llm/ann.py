@@ -1,6 +1,6 @@
 """Approximate nearest neighbours: an inverted file of coarse centroids with product-quantised residuals.
 
-The coarse centroids and the sub-space codebooks are fitted by k-means on a bounded sample (SAMPLE_ROWS); every row is then
+The coarse centroids and the sub-space codebooks are fitted by k-means on a bounded sample (IndexSettings.sample_rows); every row is then
 indexed: its list, its residual's codes and the vector itself.  A query probes the lists of its nearest centroids, ranks their
 rows by asymmetric distance tables, and the best of them are reranked by exact distance on the original vectors.
 Index rows stay dealt as they are, so a list that holds a third of all rows is spread over all tasks.

@@ -4,8 +4,8 @@ Regular expressions propose spans; validators confirm them (address parts, Luhn,
 raise or lower its score.  Base kinds stay whatever their score; kinds the method adds are kept from a minimum score.
 
 Positions come from splitting a text at the matches: a match starts after all pieces and matches before it.  Patterns are
-possessive and start only where a run of their characters starts, so that each text is read in linear time; they
-match exactly what the plain forms match, leftmost and without overlap.
+possessive and start only where a run of their characters starts, so that each text is read in linear time.  They match
+what the plain forms match, leftmost and without overlap; for cards, those of the plain matches that have 16 to 19 digits.
 """
 
 from __future__ import annotations
@@ -35,7 +35,7 @@ class Kind:
 KINDS = {
     "email": Kind(rf"(?:\G|(?<!{_LOCAL})){_LOCAL}++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "@", 0.9, "mail|contact|write|reach"),
     "ip": Kind(r"(?<![0-9])[0-9]++(?:\.[0-9]++)(?:\.[0-9]++)(?:\.[0-9]++)", ".", 0.6, "ip|address|host|server|login"),
-    "card": Kind(r"[0-9](?:[\x20-]?[0-9])++", "", 0.8, "card|visa|credit|payment|account"),
+    "card": Kind(r"(?<![0-9])(?<![0-9][\x20-])[0-9](?:[\x20-]?[0-9]){15,18}+(?![\x20-]?[0-9])", "", 0.8, "card|visa|credit|payment|account"),
     "phone": Kind(r"\+[0-9][\x20().0-9-]+[0-9]", "+", 0.7, "phone|tel|call|mobile|fax"),
     "iban": Kind(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", "", 0.7, "iban|bank|account|transfer"),
     "ssn": Kind(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])", "-", 0.3, "ssn|social|security"),
@@ -94,7 +94,7 @@ def _spans(kind: str, text: Column) -> Column:
     score = lambda x: F.least(F.lit(1.0), F.lit(k.prior) + F.when(near(x).rlike(f"(?:{k.words})"), 0.3).otherwise(0.0)
                               - F.when(near(x).rlike("example|sample|version|test"), 0.2).otherwise(0.0))
     spans = F.transform(kept, lambda x: F.struct(F.lit(kind).alias("kind"), x["s"].alias("start"), (x["s"] + F.length(x["m"])).alias("end"), score(x).alias("score")))
-    hint = F.contains(text, F.lit(k.hint)) if k.hint else text.rlike("[0-9]{2}|[0-9][ -][0-9]")
+    hint = F.contains(text, F.lit(k.hint)) if k.hint else text.rlike("[0-9]")
     return F.when(hint, spans).otherwise(F.expr("cast(array() as array<struct<kind:string,start:int,end:int,score:double>>)"))
 
 
@@ -105,7 +105,6 @@ def find(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     overlap; those of one kind do not.
     """
     d = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(F.col(text_col).cast("string")).alias("text"))
-    # Most texts have no digit pair, @ or +: they skip all patterns.
     cols = [_spans(k, F.col("text")).alias(f"s_{k}") for k in (*BASE_KINDS, *ADDED_KINDS)]
     s = d.select("doc_id", *cols)
     added = [F.filter(f"s_{k}", lambda x: x["score"] >= MIN_SCORE) for k in ADDED_KINDS]
