@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from certsel.functions.draws import SPACE, hashed, unit
+from certsel.sources.staging import staged
 from certsel.spec import GRID
 
 POWER_SCALE = 1_000_000
@@ -63,10 +64,9 @@ def weighted_cdf(universe: DataFrame, budget: int, trials: int = 1, seed: int =
     u = u.withColumn("cell", F.substring("h", 1, CELL_DIGITS))
     cells = u.groupBy(*by, "cell").agg(F.sum("w_u").alias("cell_w"), F.max("n").alias("n"))
     run = Window.partitionBy(*by).orderBy("cell").rowsBetween(Window.unboundedPreceding, 0)
-    whole = Window.partitionBy(*by)
-    cells = cells.withColumn("cell_end", F.sum("cell_w").over(run)).withColumn("w_total", F.sum("cell_w").over(whole))
-    cells = cells.withColumn("cell_start", F.col("cell_end") - F.col("cell_w"))
-    totals = cells.groupBy(*by).agg(F.max("w_total").alias("total"), F.count("*").alias("n_cells"))
+    cells = cells.withColumn("cell_end", F.sum("cell_w").over(run)).withColumn("w_total", F.sum("cell_w").over(Window.partitionBy(*by)))
+    cells = staged(cells.withColumn("cell_start", F.col("cell_end") - F.col("cell_w")), "cells")  # 4,096 rows a group
+    totals = cells.groupBy(*by).agg(F.max("w_total").alias("total"), F.max("n").alias("n"))
     d = draws(spark, budget, trials, seed, stream)
     d = d.join(F.broadcast(totals), list(by)) if by else d.crossJoin(F.broadcast(totals))  # one row, or one a trial
     d = d.withColumn("at", F.floor(F.col("u") * F.col("total")).cast("long"))
@@ -74,20 +74,20 @@ def weighted_cdf(universe: DataFrame, budget: int, trials: int = 1, seed: int =
     strips = 16 ** CELL_DIGITS
     strip = lambda x, t: F.least(F.lit(strips - 1), F.floor(x / (t / F.lit(float(strips)))).cast("long"))
     d = d.withColumn("strip", strip(F.col("at"), F.col("total")))
-    spans = cells.withColumn("strip", F.explode(F.sequence(strip(F.col("cell_start"), F.col("w_total")), strip(F.col("cell_end") - 1, F.col("w_total")))))
-    hit = d.join(spans, [*by, "strip"]).where("at >= cell_start and at < cell_end").select("trial", "at", F.col("cell").alias("c"), "cell_start")
-    touched = hit.select(*by, "c").distinct()
-    own = [u[b] == touched[b] for b in by]
-    in_cells = u.join(touched, [*own, u["cell"] == touched["c"]], "left_semi")
+    spans = cells.select(*by, F.col("cell").alias("c"), "cell_start", "cell_end",
+                         F.explode(F.sequence(strip(F.col("cell_start"), F.col("w_total")), strip(F.col("cell_end") - 1, F.col("w_total")))).alias("strip"))
+    hit = d.join(spans, [*by, "strip"]).where("at >= cell_start and at < cell_end")
+    hit = staged(hit.select(F.col("trial").alias("of_trial"), "c", "total", (F.col("at") - F.col("cell_start")).alias("off")), "draws")
+    own = [u["trial"] == F.col("of_trial")] if by else []
+    touched = hit.select("c", *(["of_trial"] if by else [])).distinct()
     inside = Window.partitionBy(*by, "cell").orderBy("h", "key").rowsBetween(Window.unboundedPreceding, 0)
-    rows = in_cells.withColumn("end", F.sum("w_u").over(inside)).withColumn("start", F.col("end") - F.col("w_u"))
-    keys = [rows[b] == hit[b] for b in by]
-    got = hit.join(rows.drop("trial") if not by else rows, [*keys, F.col("c") == F.col("cell")]).where("at - cell_start >= start and at - cell_start < end")
-    got = got.select(hit["trial"], "key", "score_u", "w_u", "n").groupBy("trial", "key", "score_u", "w_u", "n").agg(F.count("*").alias("mult"))
-    t = totals.select(*by, "total")
-    got = got.join(F.broadcast(t), list(by)) if by else got.crossJoin(F.broadcast(t))
-    r = F.round(F.lit(float(R_SCALE)) * F.col("total") / (F.col("n") * F.col("w_u"))).cast("long")
-    return got.select("trial", "key", "score_u", "mult", r.alias("r_u"))
+    rows = u.join(touched, [*own, u["cell"] == touched["c"]], "left_semi")
+    rows = rows.select(*by, "key", "score_u", "n", "w_u", "cell", F.sum("w_u").over(inside).alias("end"))
+    keys = [rows["trial"] == hit["of_trial"]] if by else []
+    got = hit.join(rows, [*keys, hit["c"] == rows["cell"]]).where("off >= end - w_u and off < end")
+    r = F.round(F.lit(float(R_SCALE)) * F.col("total") / (F.col("n") * F.col("w_u"))).cast("long").alias("r_u")
+    got = got.groupBy(F.col("of_trial").alias("trial"), "key", "score_u", r).agg(F.count("*").alias("mult"))
+    return got.select("trial", "key", "score_u", "mult", "r_u")
 
 
 def uniform_iid(universe: DataFrame, budget: int, trials: int = 1, seed: int = 0) -> DataFrame:
@@ -131,7 +131,10 @@ def restrict(universe: DataFrame, floor: Column | int) -> DataFrame:
 
 
 def label(sample: DataFrame, base: DataFrame, oracle) -> DataFrame:
-    """The sample with y.  Base rows are fetched for the distinct sampled keys and the oracle sees these alone, once each."""
-    keys = sample.select("key").distinct()
-    bought = oracle(base.join(F.broadcast(keys), "key", "left_semi")).select("key", F.coalesce("y", F.lit(0)).cast("int").alias("y"))
-    return sample.join(bought, "key")
+    """The sample with y, written once: whatever runs later, the oracle is asked once for each distinct sampled key.
+
+    Base rows are fetched for those keys (as many as the budget at most, times trials) and the oracle sees these alone.
+    """
+    drawn = staged(sample, "sample")
+    bought = oracle(base.join(F.broadcast(drawn.select("key").distinct()), "key", "left_semi")).select("key", F.coalesce("y", F.lit(0)).cast("int").alias("y"))
+    return staged(drawn.join(bought, "key"), "labelled")

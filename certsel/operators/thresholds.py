@@ -180,7 +180,8 @@ def twostage_precision(universe: DataFrame, label, spec: SelectionSpec, trials:
     half = spec.budget // 2
     one = label(sampling.weighted_cdf(universe, half, trials, spec.seed, spec.exponent, spec.mix, stream="stage1"))
     n = universe.agg(F.count("*").alias("n"))
-    floors = rank_floor(universe, match_bound(one, n, spec))
+    found = rank_floor(universe, match_bound(one, n, spec)).collect()  # one row a trial: stage 2 is planned from it
+    floors = universe.sparkSession.createDataFrame(found, "trial int, floor long").coalesce(1)
     region = universe.select("key", "score_u").crossJoin(F.broadcast(floors)).where("score_u >= floor").select("trial", "key", "score_u")  # one row a trial
     two = label(sampling.weighted_cdf(region, half, trials, spec.seed, spec.exponent, spec.mix, by=("trial",), stream="stage2"))
     used = two if spec.stage2_weighting == "ratio" else unweighted(two)

@@ -203,7 +203,7 @@ def _measures():
         f"SELECT size, hits, matches, {six} FROM (SELECT (SELECT count(*) FROM {ans}) AS size, (SELECT sum(y)::BIGINT FROM u WHERE key IN (SELECT key FROM {ans})) AS hits, (SELECT sum(y)::BIGINT FROM u) AS matches)"))
     raw = _spec(w, method="uniform_raw")
     t = Twin(u)
-    register("failure_rate", lambda sp, d: trials.compare(w.scored(sp, d), w.oracle, truth(sp, d), {"unguaranteed": raw, "guaranteed": s}, TRIALS),
+    register("failure_rate", lambda sp, d: trials.compare(truth(sp, d), {"unguaranteed": raw, "guaranteed": s}, TRIALS),
              t.done(t.failure("unguaranteed", raw, TRIALS) + " UNION ALL " + t.failure("guaranteed", s, TRIALS)))
     t = Twin(u)
     m = t.add(f"SELECT precision AS v FROM {t.achieved(*t.estimate(raw.but(goal='recall'), TRIALS))}")
@@ -257,7 +257,7 @@ def _cube(spark, sf_dir, w, s):
 def _compare(name: str, wn: str, specs: dict[str, SelectionSpec], n: int = 3):
     w, u = _w(wn)
     t = Twin(u)
-    register(name, lambda sp, d: trials.compare(w.scored(sp, d), w.oracle, w.truth(sp, d), specs, n), t.done(" UNION ALL ".join(t.failure(k, s, n) for k, s in specs.items())))
+    register(name, lambda sp, d: trials.compare(w.truth(sp, d), specs, n), t.done(" UNION ALL ".join(t.failure(k, s, n) for k, s in specs.items())))
 
 
 def _experiments():
@@ -274,7 +274,7 @@ def _experiments():
         w, u = _synth(0.01, 2.0, sigma)
         specs = {f"{m} {g}": _spec(w, goal=g, target=t, method=m) for g, t, ms in (("precision", 0.95, ("uniform", "twostage")), ("recall", 0.9, ("uniform", "weighted"))) for m in ms}
         t = Twin(u)
-        register(f"x6_noise_{int(sigma * 100)}", lambda sp, d, w=w, specs=specs: trials.compare(w.scored(sp, d), w.oracle, w.truth(sp, d), specs, 2), t.done(" UNION ALL ".join(t.failure(k, s, 2) for k, s in specs.items())))
+        register(f"x6_noise_{int(sigma * 100)}", lambda sp, d, w=w, specs=specs: trials.compare(w.truth(sp, d), specs, 2), t.done(" UNION ALL ".join(t.failure(k, s, 2) for k, s in specs.items())))
     for beta in (0.125, 0.25, 0.5, 1.0, 2.0):
         w, u = _synth(0.01, beta)
         _compare(f"x7_imbalance_{str(beta).replace('.', '_')}", f"beta_{beta}", {f"{m} {g}": _spec(w, goal=g, target=t, method=m) for g, t, ms in (
@@ -286,7 +286,7 @@ def _experiments():
     w1 = _w("beta_1.0")[0]
     _compare("x10_bounds", "beta_1.0", {f"{m} {b}": _spec(w1, method=m, bound=b) for b in ("normal", "hoeffding") for m in ("uniform", "weighted")}, 2)
     other = {f"uniform {b}": _spec(w1, method="uniform", bound=b) for b in ("bootstrap", "clopper_pearson")} | {"weighted bootstrap": _spec(w1, bound="bootstrap")}
-    register("x10_bounds_sampled", lambda sp, d: trials.compare(w1.scored(sp, d), w1.oracle, w1.truth(sp, d), other, 2))
+    register("x10_bounds_sampled", lambda sp, d: trials.compare(w1.truth(sp, d), other, 2))
     _compare("x14_use_case_rare", "rare", {"rare recall 90": _spec(ALL["rare"])}, TRIALS)
     _compare("x14_use_case_audit", "audit", {"audit recall 90": _spec(ALL["audit"])}, TRIALS)
     _compare("x14_use_case_discovery", "pii", {"recall 90": _spec(ALL["pii"]), "precision 75": _spec(ALL["pii"], goal="precision", method="twostage", target=0.75)}, TRIALS)
@@ -318,7 +318,7 @@ def _drifts():
         for name, (w, fit, apply, fs, as_, s) in cases.items():
             fit_oracle = b1.oracle if name == "synth" else w.oracle
             register(f"x3_drift_{name}_{goal}", lambda sp, d, w=w, fit=fit, apply=apply, s=s, name=name, fo=fit_oracle: trials.drift(
-                fo(fit(sp, d)), apply(sp, d), w.oracle, w.oracle(apply(sp, d)), s, 3, name), _drift_sql(fs, as_, s, 3, name))
+                fo(fit(sp, d)), w.oracle(apply(sp, d)), s, 3, name), _drift_sql(fs, as_, s, 3, name))
 
 
 def _surrounding():

@@ -120,7 +120,7 @@ def test_guarantees_over_trials(spark):
         "raw precision": SelectionSpec(goal="precision", method="uniform_raw", budget=1000), "precision": SelectionSpec(goal="precision", method="twostage", budget=1000),
         "linear recall": SelectionSpec(budget=1000, exponent=1.0),
     }
-    got = {r.method: r for r in trials.compare(u, SAME, u, specs, 100).collect()}
+    got = {r.method: r for r in trials.compare(u, specs, 100).collect()}
     for name in ("recall", "uniform recall", "precision", "linear recall"):
         assert got[name].n_failed <= 11, got
     assert got["raw recall"].n_failed >= 20 and got["raw precision"].n_failed >= 20
@@ -134,7 +134,7 @@ def test_adversarial_scores(spark):
     upside = u.withColumn("score_u", 1_000_000 - F.col("score_u"))
     for case in (flat, zero, upside):
         case = case.cache()
-        r = trials.compare(case, SAME, case, {"r": SelectionSpec(budget=300), "p": SelectionSpec(goal="precision", method="twostage", budget=300)}, 10).collect()
+        r = trials.compare(case, {"r": SelectionSpec(budget=300), "p": SelectionSpec(goal="precision", method="twostage", budget=300)}, 10).collect()
         assert all(x.n_failed <= 2 for x in r)
     none = u.withColumn("y", F.lit(0))
     assert runner.run(none, SAME, SelectionSpec(budget=300)).rows.count() == 2000
