@@ -134,7 +134,7 @@ class Twin:
  (SELECT unnest(range({trials}))::INTEGER AS trial), (SELECT unnest(range({budget})) AS j)) d JOIN {totals} t ON {on})"""
         j = "d.trial = r.trial AND " if by_trial else ""
         return self.add(f"""SELECT d.trial, key, score_u, y, count(*) AS mult, CAST(round(1000000::DOUBLE * total / (n * w_u)) AS BIGINT) AS r_u
- FROM {draws} d JOIN {run} r ON {j}d.at < r.e AND d.at >= r.e - r.w_u GROUP BY d.trial, key, score_u, y, total, n, w_u""")
+ FROM {draws} d ASOF JOIN (SELECT *, e - w_u AS st FROM {run} WHERE w_u > 0) r ON {j}d.at >= r.st GROUP BY d.trial, key, score_u, y, total, n, w_u""")
 
     def curves(self, sample: str) -> str:
         b = self.add(f"""SELECT trial, score_u, sum(mult)::BIGINT AS d, sum(mult * r_u)::BIGINT AS c, sum(mult * r_u * y)::BIGINT AS cy, sum((mult * r_u * r_u)::HUGEINT) AS c2, sum((mult * r_u * r_u * y)::HUGEINT) AS cy2
