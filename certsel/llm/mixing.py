@@ -53,8 +53,8 @@ def targets(sizes: DataFrame, weights=WEIGHTS, budget: float = BUDGET, max_epoch
     filled = ranked.select("source", "source_size", "weight", "cap", (F.sum("source_size").over(every) * F.lit(budget)).alias("total"),
                            F.coalesce(F.sum("cap").over(before), F.lit(0.0)).alias("capped"), F.sum("weight").over(after).alias("open_weight"))
     filled = filled.withColumn("level", (F.col("total") - F.col("capped")) / F.col("open_weight"))
-    # The level that holds is the one of the first source it leaves below its cap; the levels before it are lower.
-    free = filled.withColumn("found", F.min(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))).over(every))
+    # The level that holds is the one of the first source it leaves below its cap; later sources' levels are not higher.
+    free = filled.withColumn("found", F.max(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))).over(every))
     return free.select("source", "source_size", "weight", F.when(F.col("found").isNull(), F.col("cap")).otherwise(
         F.least(F.col("cap"), F.col("found") * F.col("weight"))).alias("target"))
 
@@ -103,7 +103,7 @@ f AS (SELECT source, source_size, weight, cap, sum(source_size) OVER ()::DOUBLE
              coalesce(sum(cap) OVER (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS capped,
              sum(weight) OVER (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS open_weight FROM r),
 g AS (SELECT *, (total - capped) / open_weight AS level FROM f),
-k AS (SELECT min(level) AS found FROM g WHERE level * weight <= cap),
+k AS (SELECT max(level) AS found FROM g WHERE level * weight <= cap),
 t AS (SELECT source, source_size, CASE WHEN found IS NULL THEN cap ELSE least(cap, found * weight) END AS target FROM g, k),
 w AS (SELECT source, source_size, target, CASE WHEN source_size > 0 THEN floor(target / source_size)::BIGINT ELSE 0 END AS whole FROM t),
 o AS (SELECT doc_id, source, size, coalesce(sum(size) OVER (PARTITION BY source ORDER BY h, size, doc_id
