@@ -131,7 +131,7 @@ def _search_block(index: DataFrame, quantizer: Quantizer, ids: np.ndarray, vecto
             own, lists = b.column(0).to_numpy(), b.column(1).to_numpy()
             x, at = matrix(b.column(4), quantizer.dim)
             x_ids, x_list, bias = own[at], lists[at], b.column(3).to_numpy()[at]
-            codes = np.frombuffer(b"".join(b.column(2).to_pylist()), np.uint8).reshape(len(at), -1)
+            codes = np.frombuffer(b"".join(b.column(2).to_pylist()), np.uint8).reshape(len(at), len(quantizer.parts))
             odd = [(own[i], np.array(b.column(4)[int(i)].as_py())) for i in np.flatnonzero(lists == -1)]
             for n, v in enumerate(vectors):
                 i, d = [top[n][0]], [top[n][1]]

@@ -98,15 +98,13 @@ class Bucket:
         return slice(0, int(np.searchsorted(-self.length, -bar / q_length * (1 - 1e-9), "right")))
 
 
-def _block_top(candidates: DataFrame, ids: np.ndarray, vectors: list, seeds: tuple, k: int) -> DataFrame:
-    """(query_id, vec_id, score) of each partition's best, for one block of queries."""
+def _block_top(candidates: DataFrame, ids: np.ndarray, vectors: list, seeds: dict, k: int) -> DataFrame:
+    """(query_id, vec_id, score) of each partition's best, for one block of queries.  seeds: ids and vectors by dimension."""
     lengths = [float(np.sqrt(q @ q)) for q in vectors]
     bars = []
     for i, q in zip(ids, vectors):
-        s = np.sort([p @ q for j, p in zip(*seeds) if j != i and len(p) == len(q)]) if len(seeds[0]) <= 64 else None
-        if s is None:
-            m = seeds[2].get(len(q))
-            s = np.sort((m[1] @ q)[m[0] != i]) if m is not None else np.empty(0)
+        own = seeds.get(len(q))
+        s = np.sort((own[1] @ q)[own[0] != i]) if own is not None else np.empty(0)
         bars.append(float(s[-k]) if len(s) >= k else -math.inf)
 
     def run(batches):
@@ -158,7 +156,7 @@ def top_products(df: DataFrame, every: int = 50, k: int = K, id_col: str = "vec_
     candidates = d.repartitionByRange(parts, F.desc("length"), F.col("vec_id")).select("vec_id", "v")
     found = None
     for ids, vectors in query_blocks(d.where(F.col("vec_id") % every == 0).select("vec_id", "v").distinct()):
-        one = _block_top(candidates, ids, vectors, (seed_ids, seed_v, by_dim), k)
+        one = _block_top(candidates, ids, vectors, by_dim, k)
         found = one if found is None else found.union(one)
     if found is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
