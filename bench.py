@@ -15,7 +15,7 @@ from certsel.sources import workloads  # noqa: E402
 from certsel.spec import SelectionSpec  # noqa: E402
 
 SF = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
-TRIALS = int(os.environ.get("BENCH_TRIALS", "100"))
+TRIALS = int(os.environ.get("BENCH_TRIALS", "20"))
 RUNS = {
     "net_recall_90": (workloads.ALL["net"], SelectionSpec(budget=10_000)),
     "net_precision_90": (workloads.ALL["net"], SelectionSpec(goal="precision", method="twostage", budget=10_000)),

@@ -46,7 +46,7 @@ def topk_scores(spark, sf_dir, k: int = 50):
 
 def daily_counts(spark, sf_dir):
     w = Window.partitionBy("event_type").orderBy("day").rowsBetween(-6, 0)
-    d = load(spark, sf_dir, "events").groupBy(F.date_trunc("day", "ts").cast("date").alias("day"), "event_type").agg(F.count("*").alias("n"))
+    d = load(spark, sf_dir, "events").groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day"), "event_type").agg(F.count("*").alias("n"))
     return d.select("day", "event_type", "n", F.sum("n").over(w).alias("week"))
 
 
@@ -86,7 +86,7 @@ QUERIES = {
         WHERE event_type = 'purchase' AND value > 200 GROUP BY user_id, ts) c ON e.user_id = c.user_id AND e.ts >= c.ts"""),
     "topk_scores": (topk_scores, "SELECT event_id, value FROM events ORDER BY value DESC, event_id LIMIT 50"),
     "window_daily_counts": (daily_counts, """SELECT day, event_type, n, sum(n) OVER (PARTITION BY event_type ORDER BY day ROWS 6 PRECEDING)::BIGINT AS week
-        FROM (SELECT ts::DATE AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2)"""),
+        FROM (SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2)"""),
     "session_events": (sessions, """SELECT user_id, session, count(*) AS n, round(sum(value), 4) AS total FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING)::BIGINT AS session
         FROM (SELECT *, CASE WHEN lag(ts) OVER w IS NULL OR ts > lag(ts) OVER w + INTERVAL 60 MINUTE THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id))) GROUP BY 1, 2"""),
     "setop_union_answers": (union_answers, "SELECT event_id FROM events WHERE value > 200 UNION ALL SELECT event_id FROM events WHERE event_type = 'purchase' AND value <= 200 AND value > 150"),
