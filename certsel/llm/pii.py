@@ -6,11 +6,14 @@ raise or lower its score.  Base kinds stay whatever their score; kinds the metho
 Positions come from splitting a text at the matches: a match starts after all pieces and matches before it.  Patterns are
 possessive and start only where a run of their characters starts, so that each text is read in linear time.  They match
 what the plain forms match, leftmost and without overlap; for cards, those of the plain matches that have 16 to 19 digits.
+Account numbers differ: a match is a country code alone, and what follows is seen ahead.  Each of its ends at a token's end
+is tried, so that words or numbers after an account number do not hide it, nor one account number the next.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -37,9 +40,15 @@ KINDS = {
     "ip": Kind(r"(?<![0-9])[0-9]++(?:\.[0-9]++)(?:\.[0-9]++)(?:\.[0-9]++)", ".", 0.6, "ip|address|host|server|login"),
     "card": Kind(r"(?<![0-9])(?<![0-9][\x20-])[0-9](?:[\x20-]?[0-9]){15,18}+(?![\x20-]?[0-9])", "", 0.8, "card|visa|credit|payment|account"),
     "phone": Kind(r"\+[0-9][\x20().0-9-]+[0-9]", "+", 0.7, "phone|tel|call|mobile|fax"),
-    "iban": Kind(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", "", 0.7, "iban|bank|account|transfer"),
+    # The last sign, if any, shows that the token goes on: no end there.
+    "iban": Kind(r"(?<![A-Za-z0-9])[A-Z]{2}(?=([0-9]{2}(?:\x20?[A-Z0-9]){11,30}+[A-Za-z0-9]?+))", "", 0.7, "iban|bank|account|transfer"),
     "ssn": Kind(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])", "-", 0.3, "ssn|social|security"),
 }
+#: Lengths by country only choose between several ends that pass; other countries and lengths are found too.
+IBAN_LENGTHS = {n: codes.split() for n, codes in {
+    15: "NO", 16: "BE", 18: "DK FI FO GL NL", 19: "MK SI", 20: "AT BA EE KZ LT LU XK", 21: "CH HR LI LV", 22: "BG BH CR DE GB GE IE ME RS VA",
+    23: "AE GI IL IQ TL", 24: "AD CZ ES MD PK RO SA SE SK TN VG", 25: "PT", 26: "IS TR", 27: "FR GR IT MC MR SM", 28: "AL AZ BY CY DO GT HU LB PL",
+    29: "BR EG PS QA UA", 30: "JO KW MU", 31: "MT SC", 32: "LC"}.items()}
 CONTEXT_CHARS = 40
 MIN_SCORE = 0.6
 
@@ -79,6 +88,25 @@ def _confirmed(kind: str, m: Column) -> Column:
     }[kind]()
 
 
+def _account(m: Column) -> Column:
+    """The prefix of m, cut at a token's end, that passes; of several the one of its country's length, else the longest; or null."""
+    tokens = F.split(m, " ")
+    ends = F.transform(F.sequence(F.lit(1), F.size(tokens)), lambda n: F.array_join(F.slice(tokens, F.lit(1), n), " "))
+    good = F.filter(ends, lambda e: e.rlike(r"^[A-Z0-9\x20]+$") & _confirmed("iban", e))
+    n = lambda e: F.length(F.regexp_replace(e, r"\x20", ""))
+    usual = lambda e: reduce(Column.__or__, [(n(e) == size) & F.substring(e, 1, 2).isin(*codes) for size, codes in IBAN_LENGTHS.items()])
+    return F.array_max(F.transform(good, lambda e: F.struct(usual(e).alias("usual"), n(e).alias("n"), e.alias("m"))))["m"]
+
+
+def _accounts(heads: Column, text: Column) -> Column:
+    """heads: (m, s) of the country codes.  (m, s) of the account numbers, leftmost first and without overlap."""
+    ahead = F.regexp_extract_all(text, F.lit(KINDS["iban"].pattern), F.lit(1))
+    whole = F.filter(F.zip_with(heads, ahead, lambda h, t: F.struct(_account(F.concat(h["m"], t)).alias("m"), h["s"].alias("s"))), lambda x: x["m"].isNotNull())
+    state = F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<struct<m:string,s:int>>)").alias("out"))
+    return F.aggregate(whole, state, lambda a, x: F.when(x["s"] < a["at"], a).otherwise(F.struct(
+        (x["s"] + F.length(x["m"])).alias("at"), F.concat(a["out"], F.array(x)).alias("out"))), lambda a: a["out"])
+
+
 def _spans(kind: str, text: Column) -> Column:
     """Array of (kind, start, end, score) of one kind, in order; end exclusive, in code points."""
     k = KINDS[kind]
@@ -89,7 +117,7 @@ def _spans(kind: str, text: Column) -> Column:
                          lambda a, x: F.struct((a["at"] + F.length(x["p"]) + F.length(x["m"])).alias("at"),
                                                F.concat(a["out"], F.array(F.struct(x["m"].alias("m"), (a["at"] + F.length(x["p"])).alias("s")))).alias("out")),
                          lambda a: a["out"])
-    kept = F.filter(walked, lambda x: _confirmed(kind, x["m"]))
+    kept = _accounts(walked, text) if kind == "iban" else F.filter(walked, lambda x: _confirmed(kind, x["m"]))
     near = lambda x: F.lower(F.substring(text, F.greatest(F.lit(1), x["s"] + 1 - CONTEXT_CHARS), F.length(x["m"]) + 2 * CONTEXT_CHARS))
     score = lambda x: F.least(F.lit(1.0), F.lit(k.prior) + F.when(near(x).rlike(f"(?:{k.words})"), 0.3).otherwise(0.0)
                               - F.when(near(x).rlike("example|sample|version|test"), 0.2).otherwise(0.0))
