@@ -20,6 +20,8 @@ SPELLINGS = {
     "whilst": "while", "wilful": "willful", "http ": "https ",
 }
 COPYRIGHT_LINE = r"(?m)^[ \t*#/;-]*(?:copyright\b|\(c\)|©|all rights reserved)[^\n]*$"
+#: The lines that are cut: as above, but 'copyright' that is a part of the wording (notice, holder, owner, or the line's last word) stays.
+NOTICE_LINE = (r"(?m)^[ \t*#/;-]*(?:copyright\b(?![ \t\r]*(?:\n|\z|(?:notice|holder|owner)s?\b(?![ \t]*:)))|\(c\)|©|all rights reserved)[^\n]*$")
 PUNCTUATION = r"[\x00-\x2F\x3A-\x60\x7B-\x7F\xA0-\xBF\x{2010}-\x{2027}]+"
 
 # Texts of public licences that are short enough to state whole.
@@ -64,8 +66,8 @@ KNOWN = {
 
 
 def canonical(text: Column) -> Column:
-    """Lower case, no copyright lines, punctuation and blanks as single spaces, one spelling."""
-    t = F.regexp_replace(F.lower(text), COPYRIGHT_LINE, "")
+    """Lower case, no copyright notices, punctuation and blanks as single spaces, one spelling."""
+    t = F.regexp_replace(F.lower(text), NOTICE_LINE, "")
     t = F.concat(F.lit(" "), F.trim(F.regexp_replace(t, PUNCTUATION, " ")), F.lit(" "))
     for variant, usual in SPELLINGS.items():
         if variant != usual:
@@ -75,7 +77,7 @@ def canonical(text: Column) -> Column:
 
 def digest_of(text: str) -> str:
     """The same in plain Python: digests of the known texts, and the check of the expression."""
-    t = re.sub(COPYRIGHT_LINE, "", text.lower())
+    t = re.sub(NOTICE_LINE.replace(r"\z", r"\Z"), "", text.lower())
     t = " " + re.sub(PUNCTUATION.replace(r"\x{2010}-\x{2027}", "‐-‧"), " ", t).strip(" ") + " "
     for variant, usual in SPELLINGS.items():
         t = t.replace(variant, usual)
@@ -103,7 +105,7 @@ def scan(docs: DataFrame, known: DataFrame | None = None, id_col: str = "doc_id"
 
 
 def sql() -> str:
-    """The scan in DuckDB SQL."""
+    """The scan in DuckDB SQL, which has no look-ahead: it still cuts every line that starts with 'copyright'."""
     q = lambda x: "'" + x.replace("'", "''") + "'"
     t = f"' ' || trim(regexp_replace(regexp_replace(lower(coalesce(text, '')), {q(COPYRIGHT_LINE)}, '', 'g'), {q(PUNCTUATION)}, ' ', 'g')) || ' '"
     for variant, usual in SPELLINGS.items():
