@@ -227,8 +227,8 @@ def predict(docs: DataFrame, model: ByteGru | None, id_col: str = "doc_id", text
     return found.select("doc_id", F.coalesce(bucket_of() == 2, F.lit(False)).alias("held_out"), "lang_pred", "score")
 
 
-def keep_determined(docs: DataFrame, model: ByteGru | None, text_col: str = "text", min_score: float = 0.5) -> DataFrame:
-    """The documents whose language is found with a score of min_score or more, all columns as they were.
+def keep_determined(docs: DataFrame, model: ByteGru | None, text_col: str = "text") -> DataFrame:
+    """The documents for which predict names a language, whatever its score, all columns as they were.
 
     The decision is made beside the row, in one pass over the input without a shuffle.  Without a model nothing is kept.
     """
@@ -237,6 +237,6 @@ def keep_determined(docs: DataFrame, model: ByteGru | None, text_col: str = "tex
     def run(batches):
         for b in batches:
             found = pooled(model, b.column(names.index(text_col)).to_pylist()) if model else [(UNDETERMINED, 0.0)] * b.num_rows
-            yield b.filter(pa.array([lang != UNDETERMINED and score >= min_score for lang, score in found], pa.bool_()))
+            yield b.filter(pa.array([lang != UNDETERMINED for lang, _ in found], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
