@@ -7,20 +7,37 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-_fallback: list[str] = []
+_own: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; a temporary one only where that is unset."""
+    """The folder named by spark.checkpoint.dir.  Where that is unset, a session in one process gets a folder of its own; a cluster is an error."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if root:
         return root.rstrip("/")
-    if not _fallback:
-        _fallback.append(tempfile.mkdtemp(prefix="certsel-"))
-    return _fallback[0]
+    master = spark.sparkContext.master
+    if master != "local" and not master.startswith("local["):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    if not _own:
+        _own.append(tempfile.mkdtemp(prefix="certsel-"))
+    return _own[0]
+
+
+def fresh_path(spark: SparkSession, label: str) -> str:
+    """A path in the shared folder that no other run uses."""
+    return f"{shared_dir(spark)}/certsel-{label}-{uuid.uuid4().hex}"
 
 
 def staged(df: DataFrame, label: str) -> DataFrame:
-    path = f"{shared_dir(df.sparkSession)}/certsel-{label}-{uuid.uuid4().hex}"
+    """df, written to the shared folder and read back.  The schema stays as it was, so later stages need not infer it."""
+    path = fresh_path(df.sparkSession, label)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def discard(spark: SparkSession, *tables: DataFrame | str) -> None:
+    """Delete staged tables, given as such or by path, that nothing reads any more."""
+    for t in tables:
+        for path in [t] if isinstance(t, str) else {f.rsplit("/", 1)[0] for f in t.inputFiles()}:
+            p = spark._jvm.org.apache.hadoop.fs.Path(path)
+            p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
