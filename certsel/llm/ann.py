@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import staged, tidy
 from .topk import matrix, query_blocks, usable
 
 K = 10
@@ -109,7 +109,7 @@ def build(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", s:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(lists), pa.array(codes, pa.binary()), pa.array(bias), b.column(1)],
                                              names=["vec_id", "list", "codes", "bias", "v"])
 
-    index, _ = staged(d.mapInArrow(run, SCHEMA), "ivf")
+    index, _ = staged(d.mapInArrow(tidy(run), SCHEMA), "ivf")
     return index, quantizer
 
 
@@ -154,7 +154,7 @@ def _search_block(index: DataFrame, quantizer: Quantizer, ids: np.ndarray, vecto
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, [len(t[0]) for t in top])), pa.array(np.concatenate([t[0] for t in top])),
                                           pa.array(np.concatenate([t[1] for t in top]))], names=["query_id", "vec_id", "score"])
 
-    return index.select("vec_id", "list", "codes", "bias", "v").mapInArrow(run, "query_id long, vec_id long, score double")
+    return index.select("vec_id", "list", "codes", "bias", "v").mapInArrow(tidy(run), "query_id long, vec_id long, score double")
 
 
 def nearest(df: DataFrame, every: int = 100, k: int = K, id_col: str = "vec_id", vec_col: str = "embedding", s: IndexSettings = IndexSettings()) -> DataFrame:

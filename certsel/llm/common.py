@@ -1,44 +1,49 @@
-"""Shared storage for intermediate tables, and small expression helpers."""
+"""Shared storage for intermediate tables, memory of Python workers, and small expression helpers."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+import ctypes
+import functools
+import gc
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from certsel.sources.staging import discard, fresh_path
+
+__all__ = ["WORD", "discard", "staged", "table", "text_or_empty", "tidy"]
 WORD = r"[^\x20\x09-\x0D]+"
-_fallback: list[str] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; a temporary one only where that is unset (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if root:
-        return root.rstrip("/")
-    if not _fallback:
-        _fallback.append(tempfile.mkdtemp(prefix="certsel-"))
-    return _fallback[0]
-
-
 def staged(df: DataFrame, label: str) -> tuple[DataFrame, str]:
     """Write df once to the shared folder and read it back: lineage is cut, and a lost executor costs no recomputation."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/certsel-{label}-{uuid.uuid4().hex}"
+    path = fresh_path(spark, label)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path), path
 
 
-def discard(spark: SparkSession, *paths: str) -> None:
-    """Delete staged tables that nothing reads any more."""
-    for path in paths:
-        p = spark._jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+def tidy(run):
+    """A function over Arrow batches that gives its memory back at the end.  Workers are used again by later stages, so what they keep adds up."""
+
+    @functools.wraps(run)
+    def tidied(batches):
+        import pyarrow as pa
+
+        pa.set_memory_pool(pa.system_memory_pool())
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of the GNU library
+            if trim:
+                trim(0)
+
+    return tidied
 
 
 def text_or_empty(c: Column | str) -> Column:

@@ -16,6 +16,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 WINDOW = 64
 UNDETERMINED = "und"
 _LETTER = re.compile(r"[^\W\d_]")
@@ -159,7 +161,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
                     col.append(value)
             yield pa.RecordBatch.from_arrays([pa.array(rows[0], pa.int64()), pa.array(rows[1], pa.string()), pa.array(rows[2], pa.binary())], names=["i", "l", "w"])
 
-    sample = sorted(chosen.select("i", "t", "l").mapInArrow(cut, "i long, l string, w binary").collect(), key=lambda r: (r.l, r.i is None, r.i or 0, r.w))
+    sample = sorted(chosen.select("i", "t", "l").mapInArrow(tidy(cut), "i long, l string, w binary").collect(), key=lambda r: (r.l, r.i is None, r.i or 0, r.w))
     languages = sorted({r.l for r in sample})
     if not languages:
         return None
@@ -223,7 +225,7 @@ def predict(docs: DataFrame, model: ByteGru | None, id_col: str = "doc_id", text
                                              names=["doc_id", "lang_pred", "score"])
 
     d = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    found = d.mapInArrow(run, "doc_id long, lang_pred string, score double")
+    found = d.mapInArrow(tidy(run), "doc_id long, lang_pred string, score double")
     return found.select("doc_id", F.coalesce(bucket_of() == 2, F.lit(False)).alias("held_out"), "lang_pred", "score")
 
 
@@ -239,4 +241,4 @@ def keep_determined(docs: DataFrame, model: ByteGru | None, text_col: str = "tex
             found = pooled(model, b.column(names.index(text_col)).to_pylist()) if model else [(UNDETERMINED, 0.0)] * b.num_rows
             yield b.filter(pa.array([lang != UNDETERMINED for lang, _ in found], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)

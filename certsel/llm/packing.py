@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidy
 from .tokens import TokenIds
 
 #: Sequence ids are the partition number shifted by this many bits plus a running number.
@@ -128,7 +129,7 @@ def pack_examples(df: DataFrame, id_col: str, tokens_col: str, loss_col: str, li
         return pa.RecordBatch.from_arrays([pa.array(list(c), arrow_id if i == 0 else pa.int64()) for i, c in enumerate(cols)], names=names)
 
     return df.select(F.col(id_col).alias("id"), F.col(tokens_col).cast("long").alias("tokens"), F.col(loss_col).cast("long").alias("loss")).mapInArrow(
-        run, f"id {id_type}, sequence_id long, segment long, offset long, tokens long, loss_tokens long")
+        tidy(run), f"id {id_type}, sequence_id long, segment long, offset long, tokens long, loss_tokens long")
 
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, segment long"
@@ -168,7 +169,7 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id",
             at = packer.best(demand)
             if at < 0 and len(packer.open) == limits.open_bins:
                 at = int(packer.rooms[:, 0].argmin())
-                room = int(packer.rooms[at].min() if packer.rooms[at][1] > 0 else 0)
+                room = int(min(packer.rooms[at][0], packer.rooms[at][2]))  # an open bin has tokens and segments left
                 packer.put(at, (doc, start, raw[:room * 4], total), np.array([room, 1, room], dtype=np.int64))
                 return place(doc, start + room, raw[room * 4:], total)
             packer.put(at if at >= 0 else packer.new(), (doc, start, raw, total), demand)
@@ -195,4 +196,4 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id",
         yield emit([x for x in bins if x])
 
     assert limits.loss_tokens >= limits.tokens, "every token of a document bears loss"
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, PIECES)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), PIECES)

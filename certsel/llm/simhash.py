@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import discard, staged, tidy
 from .components import components
 
 RADIUS = 3
@@ -54,7 +54,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps, pa.int64())], names=["doc_id", "fp"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(
-        run, "doc_id long, fp long")
+        tidy(run), "doc_id long, fp long")
 
 
 def _signed(x: int) -> int:
@@ -96,12 +96,13 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     they came; a group whose ids are all null has a null component_id.  An empty table gives no rows.
     """
     fps, _ = staged(fingerprints(docs, id_col, text_col), "fingerprints")
-    known, _ = staged(fps.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct")
-    close, _ = staged(colliding(known), "colliding")
+    known, known_path = staged(fps.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct")
+    close, close_path = staged(colliding(known), "colliding")
     found = components(links(close), "a", "b")
     grouped = known.join(found, known.fp == found.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     ids = grouped.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = grouped.join(ids, "root").select("fp", "component_id")
+    named, _ = staged(grouped.join(ids, "root").select("fp", "component_id"), "groups")
+    discard(docs.sparkSession, known_path, close_path)
     return fps.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 

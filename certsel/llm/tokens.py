@@ -18,10 +18,9 @@ class TokenIds:
 
     def __init__(self, tokenizer_path: str):
         import tiktoken
-        from tokenizers import Tokenizer
 
         assert array("I").itemsize == 4
-        self.library = Tokenizer.from_file(tokenizer_path)
+        self.path, self.library = tokenizer_path, None
         with open(tokenizer_path, encoding="utf-8") as f:
             spec = json.load(f)
         back = {c: b for b, c in _byte_letters().items()}
@@ -31,6 +30,10 @@ class TokenIds:
 
     def encode(self, text: str) -> bytes:
         if any(s in text for s in self.special):
+            if self.library is None:  # large, and rarely needed
+                from tokenizers import Tokenizer
+
+                self.library = Tokenizer.from_file(self.path)
             return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
         return array("I", self.plain(text)).tobytes()
 

@@ -16,6 +16,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 K = 5
 SCALE = 256.0
 #: Queries that are sent to all tasks at a time: a fixed bound of 4,096 vectors, whatever the table's size.
@@ -136,7 +138,7 @@ def _block_top(candidates: DataFrame, ids: np.ndarray, vectors: list, seeds: dic
         yield pa.RecordBatch.from_arrays([pa.array(q), pa.array(np.concatenate([t[0] for t in top])), pa.array(np.concatenate([t[1] for t in top]))],
                                          names=["query_id", "vec_id", "score"])
 
-    return candidates.mapInArrow(run, "query_id long, vec_id long, score double")
+    return candidates.mapInArrow(tidy(run), "query_id long, vec_id long, score double")
 
 
 def top_products(df: DataFrame, every: int = 50, k: int = K, id_col: str = "vec_id", vec_col: str = "embedding", scale: float = SCALE) -> DataFrame:

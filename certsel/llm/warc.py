@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 DATE = "2024-01-01T00:00:00Z"
 _TAG = re.compile(r"<!--|<([a-zA-Z/!?][^\s>/]*)", re.S)
 _LINK = re.compile(r"""\b(?:href|src)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
@@ -142,7 +144,7 @@ def derivatives(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
             yield _derived(rows, DERIVED)
 
     d = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
-    return d.mapInArrow(run, DERIVED)
+    return d.mapInArrow(tidy(run), DERIVED)
 
 
 def read_responses(spark: SparkSession, path: str) -> DataFrame:
@@ -157,7 +159,7 @@ def read_responses(spark: SparkSession, path: str) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(cols, kinds)], names=["record_id", "target_uri", "date", "headers", "block"])
 
     files = spark.read.format("binaryFile").load(path).select("content")
-    return files.mapInArrow(run, "record_id string, target_uri string, date string, headers map<string,string>, block binary")
+    return files.mapInArrow(tidy(run), "record_id string, target_uri string, date string, headers map<string,string>, block binary")
 
 
 def convert(responses: DataFrame) -> DataFrame:
@@ -168,7 +170,7 @@ def convert(responses: DataFrame) -> DataFrame:
             rows = [(None, *r) for h, block in zip(b.column(0).to_pylist(), b.column(1).to_pylist()) for r in derive(dict(h or []), block or b"")]
             yield _derived(rows, DERIVED)
 
-    return responses.select("headers", "block").mapInArrow(run, DERIVED)
+    return responses.select("headers", "block").mapInArrow(tidy(run), DERIVED)
 
 
 def gzipped(data: bytes) -> bytes:
