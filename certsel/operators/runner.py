@@ -12,38 +12,73 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from certsel.operators import sampling, thresholds
+from certsel.sources.staging import staged
 from certsel.spec import NOTHING, SelectionSpec
 
 
 @dataclass
 class Selection:
+    """rows: the answer; sample: labelled rows (trial, key, score_u, y); cut: (trial, tau_u, target_u, n_labels, flag), lazy mode's report."""
+
     rows: DataFrame
     tau_u: int | None
     sample: DataFrame
     report: dict = field(default_factory=dict)
+    cut: DataFrame | None = None
+
+
+class Labelling:
+    """Samples of one universe, each drawn and labelled once, however many targets, bounds and trials use it."""
+
+    def __init__(self, base: DataFrame, oracle, trials: int = 1, universe: DataFrame | None = None):
+        self.base, self.oracle, self.trials = base, oracle, trials
+        # Scores are made once, whatever the proxy costs: all later passes read (key, score) alone.
+        self.universe = staged(base.select("key", "score_u"), "universe") if universe is None else universe
+        self.hist = sampling.histogram(self.universe)
+        self.made: dict[tuple, DataFrame] = {}
+
+    def label(self, sample: DataFrame) -> DataFrame:
+        return sampling.label(sample, self.base, self.oracle)
+
+    def sample(self, spec: SelectionSpec) -> DataFrame:
+        """The labelled draws of spec (the first half of them for two stages)."""
+        own = (spec.exponent, spec.mix) if spec.is_weighted else ()
+        name = (spec.method == "twostage", spec.is_weighted, spec.budget, spec.seed, spec.draws, *own)
+        if name not in self.made:
+            self.made[name] = self._draw(spec)
+        return self.made[name]
+
+    def _draw(self, spec: SelectionSpec) -> DataFrame:
+        if spec.method == "twostage":
+            return thresholds.first_half(self.universe, self.label, spec, self.trials, self.hist)
+        if spec.is_weighted:
+            if spec.draws == "poisson" and self.trials == 1:
+                return self.label(sampling.weighted_poisson(self.universe, spec.budget, spec.seed, spec.exponent, spec.mix))
+            return self.label(sampling.weighted_cdf(self.universe, spec.budget, self.trials, spec.seed, spec.exponent, spec.mix, hist=self.hist))
+        if spec.draws == "iid":
+            return self.label(sampling.uniform_iid(self.universe, spec.budget, self.trials, spec.seed, self.hist))
+        return self.label(sampling.uniform_distinct(self.universe, spec.budget, self.trials, spec.seed))
+
+    def estimate(self, spec: SelectionSpec) -> tuple[DataFrame, DataFrame]:
+        """(cut-offs, labelled rows) of the independent runs; labelled rows are trial, key, score_u, y."""
+        if spec.method in ("exhaustive", "everything", "nothing"):
+            raise ValueError(f"{spec.method} draws no sample")
+        s = self.sample(spec)
+        if spec.method == "twostage":
+            return thresholds.twostage_precision(self.universe, self.label, spec, self.trials, self.hist, s)
+        r_max = (1 / spec.mix if spec.mix else 1e6) if spec.is_weighted else 1.0
+        if spec.method == "uniform_raw":
+            tau = (thresholds.raw_recall if spec.goal == "recall" else thresholds.raw_precision)(s, spec.target)
+        elif spec.goal == "recall":
+            tau = thresholds.bound_recall(s, spec, r_max)
+        else:
+            tau = thresholds.bound_precision(s, spec, spec.delta / thresholds.tests_of(spec, spec.budget), r_max)
+        return tau, s.select("trial", "key", "score_u", "y")
 
 
 def estimate(base: DataFrame, oracle, spec: SelectionSpec, trials: int = 1) -> tuple[DataFrame, DataFrame]:
-    """(cut-offs, labelled rows) of `trials` independent runs; labelled rows are trial, key, score_u, y."""
-    universe = base.select("key", "score_u")
-    label = lambda s: sampling.label(s, base, oracle)
-    if spec.method == "twostage":
-        return thresholds.twostage_precision(universe, label, spec, trials)
-    if spec.method in ("weighted", "onestage"):
-        s = label(sampling.weighted_cdf(universe, spec.budget, trials, spec.seed, spec.exponent, spec.mix))
-        r_max = 1 / spec.mix if spec.mix else 1e6
-    elif spec.method in ("uniform", "uniform_raw"):
-        pick = sampling.uniform_distinct if spec.draws == "distinct" else sampling.uniform_iid
-        s, r_max = label(pick(universe, spec.budget, trials, spec.seed)), 1.0
-    else:
-        raise ValueError(f"{spec.method} draws no sample")
-    if spec.method == "uniform_raw":
-        tau = (thresholds.raw_recall if spec.goal == "recall" else thresholds.raw_precision)(s, spec.target)
-    elif spec.goal == "recall":
-        tau = thresholds.bound_recall(s, spec, r_max)
-    else:
-        tau = thresholds.bound_precision(s, spec, spec.delta / thresholds.tests_of(spec, spec.budget), r_max)
-    return tau, s.select("trial", "key", "score_u", "y")
+    """(cut-offs, labelled rows) of `trials` independent runs of one specification."""
+    return Labelling(base, oracle, trials).estimate(spec)
 
 
 def answer(base: DataFrame, tau: DataFrame, labelled: DataFrame, drop_known_negatives: bool = False) -> DataFrame:
@@ -57,27 +92,38 @@ def answer(base: DataFrame, tau: DataFrame, labelled: DataFrame, drop_known_nega
     return j.where(keep).select(*base.columns)
 
 
+def _all_labelled(base: DataFrame, oracle) -> Selection:
+    """Every row's label is bought once and written; the answer is the matches."""
+    known = staged(oracle(base).select("key", "score_u", F.coalesce("y", F.lit(0)).cast("int").alias("y")), "labels")
+    rows = base.join(known.where("y = 1").select("key"), "key", "left_semi").select(*base.columns)
+    return Selection(rows, None, known.select(F.lit(0).alias("trial"), "key", "score_u", "y"), {"method": "exhaustive", "flags": []})
+
+
+def _fits(base: DataFrame, spec: SelectionSpec) -> bool:
+    return base.select("key").limit(spec.budget + 1).count() <= spec.budget
+
+
 def run(base: DataFrame, oracle, spec: SelectionSpec) -> Selection:
-    """Lazy mode.  A universe no larger than the budget, and method exhaustive, are labelled whole."""
+    """Lazy mode.  A universe no larger than the budget, and method exhaustive, are labelled whole; cut holds the flags of other runs."""
     if spec.method == "everything":
         return Selection(base, 0, base.limit(0))
     if spec.method == "nothing":
         return Selection(base.limit(0), NOTHING, base.limit(0))
-    if spec.method == "exhaustive":
-        return Selection(oracle(base).where("y = 1").select(*base.columns), None, oracle(base).select(F.lit(0).alias("trial"), "key", "score_u", "y"))
+    if spec.method == "exhaustive" or _fits(base, spec):
+        return _all_labelled(base, oracle)
     tau, labelled = estimate(base, oracle, spec)
-    return Selection(answer(base, tau, labelled, spec.drop_known_negatives), None, labelled)
+    return Selection(answer(base, tau, labelled, spec.drop_known_negatives), None, labelled, cut=tau)
 
 
 def run_staged(base: DataFrame, oracle, spec: SelectionSpec, ledger_dir: str) -> Selection:
     """Staged mode.  The labelled sample is written to ledger_dir, so its oracle calls are made once whatever fails later."""
     spark = base.sparkSession
-    if base.select("key").limit(spec.budget + 1).count() <= spec.budget:
-        return run(base, oracle, spec.but(method="exhaustive"))
+    if _fits(base, spec):
+        return _all_labelled(base, oracle)
     tau, labelled = estimate(base, oracle, spec)
-    labelled.join(tau.select("trial", "tau_u", "target_u"), "trial").write.mode("overwrite").parquet(ledger_dir)
+    labelled.join(tau.select("trial", "tau_u", "target_u", "flag"), "trial").write.mode("overwrite").parquet(ledger_dir)
     bought = spark.read.parquet(ledger_dir)
-    first = bought.select("tau_u", "target_u").first()
+    first = bought.select("tau_u", "target_u", "flag").first()
     tau_u = int(first["tau_u"]) if first else (0 if spec.goal == "recall" else NOTHING)
     matches = bought.where("y = 1").select(F.col("key").alias("k")).distinct()
     above = base.where(F.col("score_u") >= tau_u)
@@ -86,7 +132,7 @@ def run_staged(base: DataFrame, oracle, spec: SelectionSpec, ledger_dir: str) ->
         wrong = bought.where("y = 0").select(F.col("key").alias("k")).distinct()
         above = above.join(F.broadcast(wrong), F.col("key") == F.col("k"), "left_anti")
     counts = bought.agg(F.countDistinct("key").alias("n"), F.countDistinct(F.when(F.col("y") == 1, F.col("key"))).alias("m")).first()
-    flags = [] if counts["m"] >= 10 else ["few_positives"]
+    flags = [x for x in (first["flag"] if first else "", "few_positives" if counts["m"] < 10 else "", "small_budget" if spec.budget <= 100 else "") if x]
     report = {"method": spec.method, "goal": spec.goal, "target": spec.target, "delta": spec.delta, "budget": spec.budget, "tau_u": tau_u,
               "inflated_target_u": int(first["target_u"]) if first else None, "distinct_labels": counts["n"], "sampled_matches": counts["m"], "flags": flags}
     return Selection(above.unionByName(below), tau_u, bought, report)

@@ -17,34 +17,75 @@ from certsel.spec import GRID
 POWER_SCALE = 1_000_000
 WEIGHT_SCALE = 1_000_000_000
 R_SCALE = 1_000_000
-#: Hash prefix of a prefix-sum cell: 16^3 cells here, more for larger universes.
-CELL_DIGITS = 3
+#: Score classes of more records are cut into cells by hash prefix, of up to CELL_DIGITS hex digits.
+CLASS_ROWS = 4096
+CELL_DIGITS = 5
+STRIPS = 4096
 POISSON_TERMS = 40
+#: Sampled keys that are sent to all tasks; beyond it both sides of the join are shuffled.
+BROADCAST_KEYS = 1_000_000
 
 
-def _trials(n: int) -> Column:
-    return F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("trial")
+def _share_of(budget: int) -> float:
+    """Records in which `budget` hashes are found but for a chance of 1e-20."""
+    return budget + 10 * math.sqrt(budget) + 50
 
 
 def uniform_distinct(universe: DataFrame, budget: int, trials: int = 1, seed: int = 0) -> DataFrame:
-    """The rows of the `budget` smallest hashes.  A hash bound, loose enough never to matter, keeps what is ranked small."""
+    """`budget` records drawn without repeats, per trial.
+
+    One hash deals the records over as many trials as have room for their samples beside each other, so a large universe is
+    hashed once for all trials; each trial keeps the smallest hashes of its part.  Trials that share a hash share no record.
+    """
     n = universe.agg(F.count("*").alias("n"))
-    bound = (F.lit(budget + 10 * math.sqrt(budget) + 50) / F.col("n")) * F.lit(SPACE)
-    rows = universe.select("key", "score_u", _trials(trials)).withColumn("h", hashed(F.col("key"), F.col("trial") + seed, "uniform"))
-    near = rows.crossJoin(F.broadcast(n)).where(F.col("h") <= bound)  # one row
+    rows = universe.select("key", "score_u").crossJoin(F.broadcast(n))  # one row
+    rows = rows.withColumn("parts", F.greatest(F.lit(1), F.floor(F.col("n") / F.lit(_share_of(budget)))).cast("int"))
+    rows = rows.withColumn("block", F.explode(F.sequence(F.lit(0), ((F.lit(trials - 1) / F.col("parts"))).cast("int"))))
+    rows = rows.withColumn("h", hashed(F.col("key"), F.col("block") + seed, "uniform"))
+    at = F.col("h") / F.lit(SPACE) * F.col("parts")
+    rows = rows.withColumn("trial", (F.col("block") * F.col("parts") + F.floor(at)).cast("int")).where(F.col("trial") < trials)
+    near = rows.where((at - F.floor(at)) * F.col("n") <= F.lit(_share_of(budget)) * F.col("parts"))
     w = Window.partitionBy("trial").orderBy("h", "key")
     return near.withColumn("k", F.row_number().over(w)).where(F.col("k") <= budget).select(
         "trial", "key", "score_u", F.lit(1).cast("long").alias("mult"), F.lit(R_SCALE).cast("long").alias("r_u"))
 
 
-def weights(universe: DataFrame, exponent: float = 0.5, mix: float = 0.1, by: tuple = ()) -> DataFrame:
-    """universe with p_u, w_u, r_u and totals n and w_total (per group of `by`).  All weights are integers, so sums are exact."""
-    power = F.round(F.lit(float(POWER_SCALE)) * F.pow(F.col("score_u") / F.lit(float(GRID)), F.lit(float(exponent)))).cast("long")
-    u = universe.withColumn("p_u", power)
-    total = u.groupBy(*by).agg(F.count("*").alias("n"), F.sum("p_u").alias("p_total"))
-    j = u.join(F.broadcast(total), list(by)) if by else u.crossJoin(F.broadcast(total))  # one row, or one a trial
+def histogram(universe: DataFrame) -> DataFrame:
+    """(score_u, c), written once: all that weights depend on, a million rows at most."""
+    return staged(universe.groupBy("score_u").agg(F.count("*").alias("c")), "classes")
+
+
+def _power(exponent: float) -> Column:
+    return F.round(F.lit(float(POWER_SCALE)) * F.pow(F.col("score_u") / F.lit(float(GRID)), F.lit(float(exponent)))).cast("long")
+
+
+def _weight(mix: float) -> Column:
+    """Integer weight from p_u and the totals n and p_total."""
     share = F.when(F.col("p_total") > 0, F.lit(float(mix)) + F.lit(1.0 - mix) * F.col("n") * F.col("p_u") / F.col("p_total")).otherwise(F.lit(1.0))
-    return j.withColumn("w_u", F.round(F.lit(float(WEIGHT_SCALE)) * share).cast("long")).drop("p_total")
+    return F.round(F.lit(float(WEIGHT_SCALE)) * share).cast("long")
+
+
+def weights(universe: DataFrame, exponent: float = 0.5, mix: float = 0.1) -> DataFrame:
+    """universe with p_u, w_u and n.  All weights are integers, so sums are exact."""
+    u = universe.withColumn("p_u", _power(exponent))
+    total = u.groupBy().agg(F.count("*").alias("n"), F.sum("p_u").alias("p_total"))
+    return u.crossJoin(F.broadcast(total)).withColumn("w_u", _weight(mix)).drop("p_total")  # one row
+
+
+def weighted_classes(hist: DataFrame, exponent: float, mix: float, floors: DataFrame | None = None) -> DataFrame:
+    """Per score: c records of weight w_u each, and where their span of the running weight total starts and ends.
+
+    With floors (trial, floor), one row a trial, each trial has a universe of its own: the scores from its floor up.
+    """
+    by = [] if floors is None else ["trial"]
+    h = hist if floors is None else hist.join(F.broadcast(floors), F.col("score_u") >= F.col("floor")).select("trial", "score_u", "c")
+    h = h.withColumn("p_u", _power(exponent))
+    every = Window.partitionBy(*by)
+    h = h.withColumn("n", F.sum("c").over(every)).withColumn("p_total", F.sum(F.col("c") * F.col("p_u")).over(every))
+    h = h.withColumn("w_u", _weight(mix)).withColumn("span", F.col("c") * F.col("w_u"))
+    run = Window.partitionBy(*by).orderBy("score_u").rowsBetween(Window.unboundedPreceding, 0)
+    h = h.withColumn("class_end", F.sum("span").over(run)).withColumn("total", F.sum("span").over(every))
+    return staged(h.select(*by, "score_u", "c", "n", "w_u", "total", (F.col("class_end") - F.col("span")).alias("class_start"), "class_end"), "spans")
 
 
 def draws(spark, budget: int, trials: int, seed: int, stream: str) -> DataFrame:
@@ -52,47 +93,63 @@ def draws(spark, budget: int, trials: int, seed: int, stream: str) -> DataFrame:
     return d.select("trial", unit(hashed(F.col("j"), F.col("trial") + seed, stream)).alias("u"))
 
 
+def _strip(x: Column, total: Column) -> Column:
+    return F.least(F.lit(STRIPS - 1), F.floor(x / (total / F.lit(float(STRIPS))))).cast("long")
+
+
+def _in_span(points: DataFrame, spans: DataFrame, on: list[str], at: str, low: str, high: str, size: str) -> DataFrame:
+    """points with the span that holds them: both meet on equal strips of the whole, and the bounds are tested within a strip only."""
+    cut = spans.withColumn("strip", F.explode(F.sequence(_strip(F.col(low), F.col(size)), _strip(F.col(high) - 1, F.col(size))))).drop(size)
+    return points.withColumn("strip", _strip(F.col(at), F.col(size))).join(cut, [*on, "strip"]).where(
+        (F.col(at) >= F.col(low)) & (F.col(at) < F.col(high))).drop("strip")
+
+
+def _records(universe: DataFrame, wanted: DataFrame, seed: int) -> DataFrame:
+    """(score_u, idx, key): the idx-th record of its score in hash order.  wanted is (score_u, idx, c), c the records of that score.
+
+    Scores of many records are cut into cells by hash prefix; cells are counted first, and records are put in order inside
+    the cells that are wanted alone.  Nothing is sorted as a whole, however many records share a score.
+    """
+    digits = F.when(F.col("c") <= CLASS_ROWS, 0).otherwise(F.least(F.lit(CELL_DIGITS), F.ceil(F.log2(F.col("c") / (CLASS_ROWS / 16)) / 4))).cast("int")
+    scores = wanted.select("score_u", "c", digits.alias("digits")).distinct()  # of the draws: as many as these at most
+    h = F.substring(F.md5(F.concat_ws(":", F.col("key").cast("string"), F.lit(str(seed)), F.lit("order"))), 1, 13)
+    rows = universe.select("key", "score_u").join(F.broadcast(scores), "score_u").withColumn("h", h).withColumn("cell", F.expr("substring(h, 1, digits)"))
+    cells = rows.groupBy("score_u", "cell").agg(F.count("*").alias("m"))
+    run = Window.partitionBy("score_u").orderBy("cell").rowsBetween(Window.unboundedPreceding, 0)
+    cells = cells.withColumn("cell_end", F.sum("m").over(run)).select("score_u", "cell", (F.col("cell_end") - F.col("m")).alias("cell_start"), "cell_end")
+    cells = cells.join(F.broadcast(scores.select("score_u", "c")), "score_u")
+    hit = _in_span(wanted, cells, ["score_u"], "idx", "cell_start", "cell_end", "c")
+    hit = staged(hit.select("score_u", "idx", "cell", (F.col("idx") - F.col("cell_start") + 1).alias("k")), "cells")
+    inside = rows.join(F.broadcast(hit.select("score_u", "cell").distinct()), ["score_u", "cell"], "left_semi")  # as many as draws at most
+    order = Window.partitionBy("score_u", "cell").orderBy("h", "key")
+    return inside.select("score_u", "cell", "key", F.row_number().over(order).alias("k")).join(hit, ["score_u", "cell", "k"]).select("score_u", "idx", "key")
+
+
 def weighted_cdf(universe: DataFrame, budget: int, trials: int = 1, seed: int = 0, exponent: float = 0.5, mix: float = 0.1,
-                 by: tuple = (), stream: str = "draw") -> DataFrame:
+                 floors: DataFrame | None = None, stream: str = "draw", hist: DataFrame | None = None) -> DataFrame:
     """`budget` draws with replacement, each record in proportion to its weight, by inverting the running weight total.
 
-    Records are in hash order, cut into cells by hash prefix.  Cell totals are summed first; a draw finds its cell, and running
-    weights are made inside the touched cells alone.  Nothing is sorted globally.  With by=('trial',) each trial has a universe of its own.
+    Weights depend on scores alone, so the running total is made over the score histogram: a draw finds its score there, and
+    its place among the equally heavy records of that score by division.  Trials share histogram and record order, so a
+    universe of its own for each trial (floors) costs no pass over records.
     """
-    spark = universe.sparkSession
-    u = weights(universe, exponent, mix, by).withColumn("h", F.substring(F.md5(F.concat_ws(":", F.col("key").cast("string"), F.lit(str(seed)), F.lit("order"))), 1, 13))
-    u = u.withColumn("cell", F.substring("h", 1, CELL_DIGITS))
-    cells = u.groupBy(*by, "cell").agg(F.sum("w_u").alias("cell_w"), F.max("n").alias("n"))
-    run = Window.partitionBy(*by).orderBy("cell").rowsBetween(Window.unboundedPreceding, 0)
-    cells = cells.withColumn("cell_end", F.sum("cell_w").over(run)).withColumn("w_total", F.sum("cell_w").over(Window.partitionBy(*by)))
-    cells = staged(cells.withColumn("cell_start", F.col("cell_end") - F.col("cell_w")), "cells")  # 4,096 rows a group
-    totals = cells.groupBy(*by).agg(F.max("w_total").alias("total"), F.max("n").alias("n"))
-    d = draws(spark, budget, trials, seed, stream)
-    d = d.join(F.broadcast(totals), list(by)) if by else d.crossJoin(F.broadcast(totals))  # one row, or one a trial
+    by = [] if floors is None else ["trial"]
+    classes = weighted_classes(histogram(universe) if hist is None else hist, exponent, mix, floors)
+    totals = classes.groupBy(*by).agg(F.max("total").alias("total"))
+    d = draws(universe.sparkSession, budget, trials, seed, stream)
+    d = d.join(F.broadcast(totals), by) if by else d.crossJoin(F.broadcast(totals))  # one row, or one a trial
     d = d.withColumn("at", F.floor(F.col("u") * F.col("total")).cast("long"))
-    # Draws meet cells on equal strips of the running total, so the range condition is tested within a strip only.
-    strips = 16 ** CELL_DIGITS
-    strip = lambda x, t: F.least(F.lit(strips - 1), F.floor(x / (t / F.lit(float(strips)))).cast("long"))
-    d = d.withColumn("strip", strip(F.col("at"), F.col("total")))
-    spans = cells.select(*by, F.col("cell").alias("c"), "cell_start", "cell_end",
-                         F.explode(F.sequence(strip(F.col("cell_start"), F.col("w_total")), strip(F.col("cell_end") - 1, F.col("w_total")))).alias("strip"))
-    hit = d.join(spans, [*by, "strip"]).where("at >= cell_start and at < cell_end")
-    hit = staged(hit.select(F.col("trial").alias("of_trial"), "c", "total", (F.col("at") - F.col("cell_start")).alias("off")), "draws")
-    own = [u["trial"] == F.col("of_trial")] if by else []
-    touched = hit.select("c", *(["of_trial"] if by else [])).distinct()
-    inside = Window.partitionBy(*by, "cell").orderBy("h", "key").rowsBetween(Window.unboundedPreceding, 0)
-    rows = u.join(touched, [*own, u["cell"] == touched["c"]], "left_semi")
-    rows = rows.select(*by, "key", "score_u", "n", "w_u", "cell", F.sum("w_u").over(inside).alias("end"))
-    keys = [rows["trial"] == hit["of_trial"]] if by else []
-    got = hit.join(rows, [*keys, hit["c"] == rows["cell"]]).where("off >= end - w_u and off < end")
+    hit = _in_span(d, classes, by, "at", "class_start", "class_end", "total")
     r = F.round(F.lit(float(R_SCALE)) * F.col("total") / (F.col("n") * F.col("w_u"))).cast("long").alias("r_u")
-    got = got.groupBy(F.col("of_trial").alias("trial"), "key", "score_u", r).agg(F.count("*").alias("mult"))
-    return got.select("trial", "key", "score_u", "mult", "r_u")
+    hit = hit.select("trial", "score_u", "c", r, F.expr("(at - class_start) div w_u").alias("idx"))
+    hit = staged(hit.groupBy("trial", "score_u", "c", "idx", "r_u").agg(F.count("*").alias("mult")), "draws")
+    found = _records(universe, hit.select("score_u", "idx", "c").distinct(), seed)
+    return hit.join(found, ["score_u", "idx"]).select("trial", "key", "score_u", "mult", "r_u")
 
 
-def uniform_iid(universe: DataFrame, budget: int, trials: int = 1, seed: int = 0) -> DataFrame:
+def uniform_iid(universe: DataFrame, budget: int, trials: int = 1, seed: int = 0, hist: DataFrame | None = None) -> DataFrame:
     """Uniform draws with replacement: equal weights."""
-    return weighted_cdf(universe, budget, trials, seed, exponent=0.0, mix=1.0, stream="iid")
+    return weighted_cdf(universe, budget, trials, seed, exponent=0.0, mix=1.0, stream="iid", hist=hist)
 
 
 def poisson_quantile(u: Column, rate: Column) -> Column:
@@ -133,8 +190,11 @@ def restrict(universe: DataFrame, floor: Column | int) -> DataFrame:
 def label(sample: DataFrame, base: DataFrame, oracle) -> DataFrame:
     """The sample with y, written once: whatever runs later, the oracle is asked once for each distinct sampled key.
 
-    Base rows are fetched for those keys (as many as the budget at most, times trials) and the oracle sees these alone.
+    Base rows are fetched for those keys (as many as the budget times trials at most; sent to all tasks up to a checked number)
+    and the oracle sees these alone.
     """
     drawn = staged(sample, "sample")
-    bought = oracle(base.join(F.broadcast(drawn.select("key").distinct()), "key", "left_semi")).select("key", F.coalesce("y", F.lit(0)).cast("int").alias("y"))
+    keys = drawn.select("key").distinct()
+    keys = F.broadcast(keys) if drawn.count() <= BROADCAST_KEYS else keys
+    bought = oracle(base.join(keys, "key", "left_semi")).select("key", F.coalesce("y", F.lit(0)).cast("int").alias("y"))
     return staged(drawn.join(bought, "key"), "labelled")

@@ -22,23 +22,25 @@ def compare(truth: DataFrame, specs: dict[str, SelectionSpec], trials: int) -> D
     """(method, target, n_trials, n_failed, failure_rate, quality, mean_size) per named specification.
 
     truth is (key, score_u, y) of the whole universe.  It is written once as a scored table that all methods read; its
-    labels stand in for the oracle, which is still asked for sampled keys only.
+    labels stand in for the oracle, which is still asked for sampled keys only.  Specifications that draw alike share a sample.
     """
     scored = staged(truth.select("key", "score_u", "y"), "scored")
     hist = staged(measures.histogram(scored), "histogram")
-    rows = [measures.failure_rate(trial_metrics(scored, lambda df: df, scored, s, trials, hist), s.goal, s.target).select(
+    runs = runner.Labelling(scored, lambda df: df, trials, scored.select("key", "score_u"))
+    rows = [measures.failure_rate(measures.achieved(hist, *runs.estimate(s)), s.goal, s.target).select(
         F.lit(name).alias("method"), F.lit(s.target).alias("target"), "*") for name, s in specs.items()]
     return reduce(DataFrame.unionByName, rows)
 
 
 def drift(fit_truth: DataFrame, truth: DataFrame, spec: SelectionSpec, trials: int, name: str) -> DataFrame:
-    """(dataset, goal, target, frozen, refit): what a cut fitted elsewhere achieves here, and what estimating anew achieves on average."""
+    """(dataset, goal, target, frozen, refit, frozen_gap): what a cut fitted elsewhere achieves here, by how much it misses the target, and
+    what estimating anew achieves on average.  One row always: an empty side gives null."""
     truth = staged(truth.select("key", "score_u", "y"), "scored")
     hist = staged(measures.histogram(truth), "histogram")
     tau = runner.frozen_cut(fit_truth, spec.goal, spec.target)
     none = truth.limit(0).select(F.lit(0).alias("trial"), "key", "score_u", "y")
-    frozen = measures.achieved(hist, tau, none).select(F.col(spec.goal).alias("frozen"))
+    frozen = measures.achieved(hist, tau, none).agg(F.max(spec.goal).alias("frozen"))
     ours = trial_metrics(truth, lambda df: df, truth, spec, trials, hist).agg(F.avg(spec.goal).alias("refit"))
     j = frozen.crossJoin(F.broadcast(ours))  # one row each
-    return j.select(F.lit(name).alias("dataset"), F.lit(spec.goal).alias("goal"), F.lit(spec.target).alias("target"),
-                    F.round("frozen", 6).alias("frozen"), F.round("refit", 6).alias("refit"))
+    return j.select(F.lit(name).alias("dataset"), F.lit(spec.goal).alias("goal"), F.lit(spec.target).alias("target"), F.round("frozen", 6).alias("frozen"),
+                    F.round("refit", 6).alias("refit"), F.round(F.lit(spec.target) - F.col("frozen"), 6).alias("frozen_gap"))

@@ -8,6 +8,8 @@ from __future__ import annotations
 
 import math
 
+from certsel.operators.sampling import POISSON_TERMS
+from certsel.operators.thresholds import poisson_one, replicates_for
 from certsel.sources.workloads import EMAIL, EXEMPLARS, INSULT, NET_CUT, VISIBLE_CUT, WORD
 from certsel.spec import NOTHING, SelectionSpec, tail
 
@@ -101,6 +103,10 @@ class Twin:
         self.n = 0
 
     def add(self, sql: str, name: str | None = None) -> str:
+        """The name of an expression; one that is there already is used again."""
+        known = {text: n for n, text in self.parts[1:]}
+        if sql in known and not name:
+            return known[sql]
         self.n += 1
         name = name or f"q{self.n}"
         self.parts.append((name, sql))
@@ -111,9 +117,11 @@ class Twin:
 
     # samples: trial, key, score_u, y, mult, r_u
     def uniform_distinct(self, budget: int, trials: int = 1, seed: int = 0) -> str:
+        share = budget + 10 * math.sqrt(budget) + 50
+        n = self.add(f"SELECT greatest(1, floor(count(*) / {share!r}::DOUBLE))::INTEGER AS parts FROM u")
         return self.add(f"""SELECT trial, key, score_u, y, 1::BIGINT AS mult, 1000000::BIGINT AS r_u FROM (
- SELECT *, row_number() OVER (PARTITION BY trial ORDER BY h, key) AS k FROM (SELECT trial, key, score_u, y, {hashed('key', f'trial + {seed}', 'uniform')} AS h
- FROM u, (SELECT unnest(range({trials}))::INTEGER AS trial))) WHERE k <= {budget}""")
+ SELECT *, row_number() OVER (PARTITION BY trial ORDER BY h, key) AS k FROM (SELECT *, (block * parts + floor(h / 4503599627370496::DOUBLE * parts))::INTEGER AS trial FROM (
+ SELECT key, score_u, y, parts, block, {hashed('key', f'block + {seed}', 'uniform')} AS h FROM u, (SELECT parts, unnest(range((({trials} - 1) // parts) + 1))::INTEGER AS block FROM {n}))) WHERE trial < {trials}) WHERE k <= {budget}""")
 
     def weights(self, source: str, exponent: float = 0.5, mix: float = 0.1, by_trial: bool = False) -> str:
         t, over = ("trial, ", "PARTITION BY trial") if by_trial else ("", "")
@@ -126,7 +134,7 @@ class Twin:
         w = self.weights(source, exponent, mix, by_trial)
         t, part = ("trial, ", "PARTITION BY trial") if by_trial else ("", "")
         h = f"substr(md5(key::VARCHAR || ':{seed}:order'), 1, 13)"
-        run = self.add(f"""SELECT {t}key, score_u, y, w_u, n, sum(w_u) OVER ({part} ORDER BY h, key ROWS UNBOUNDED PRECEDING)::BIGINT AS e, sum(w_u) OVER ({part})::BIGINT AS total
+        run = self.add(f"""SELECT {t}key, score_u, y, w_u, n, sum(w_u) OVER ({part} ORDER BY score_u, h, key ROWS UNBOUNDED PRECEDING)::BIGINT AS e, sum(w_u) OVER ({part})::BIGINT AS total
  FROM (SELECT *, {h} AS h FROM {w})""")
         totals = f"(SELECT DISTINCT {t}total FROM {run})"
         on = "d.trial = t.trial" if by_trial else "true"
@@ -143,19 +151,20 @@ class Twin:
         return self.add(f"""SELECT trial, score_u, d, sum(d) OVER {w}::BIGINT AS k, sum(c) OVER {w}::BIGINT AS cum_all, sum(cy) OVER {w}::BIGINT AS cum_pos, sum(c2) OVER {w} AS sq_all, sum(cy2) OVER {w} AS sq_pos,
  sum(cy) OVER (PARTITION BY trial)::BIGINT AS total_pos FROM {b}""")
 
-    def _result(self, sample: str, tau: str, default: int, target: float) -> str:
-        return self.add(f"""SELECT l.trial, coalesce(tau_u, {default})::BIGINT AS tau_u, coalesce(target_u, {round(target * 1e6)})::BIGINT AS target_u, n_labels
+    def _result(self, sample: str, tau: str, default: int, target: float, missing: str) -> str:
+        return self.add(f"""SELECT l.trial, coalesce(tau_u, {default})::BIGINT AS tau_u, coalesce(target_u, {round(target * 1e6)})::BIGINT AS target_u, n_labels,
+ CASE WHEN tau_u IS NULL THEN '{missing}' ELSE flag END AS flag
  FROM (SELECT trial, count(*) AS n_labels FROM {sample} GROUP BY trial) l LEFT JOIN {tau} t ON l.trial = t.trial""")
 
     def raw_recall(self, sample: str, target: float) -> str:
         c = self.curves(sample)
-        t = self.add(f"SELECT trial, max(score_u) AS tau_u, NULL AS target_u FROM {c} WHERE total_pos > 0 AND cum_pos::DOUBLE >= {target!r}::DOUBLE * total_pos::DOUBLE GROUP BY trial")
-        return self._result(sample, t, 0, target)
+        t = self.add(f"SELECT trial, max(score_u) AS tau_u, NULL AS target_u, 'unguaranteed' AS flag FROM {c} WHERE total_pos > 0 AND cum_pos::DOUBLE >= {target!r}::DOUBLE * total_pos::DOUBLE GROUP BY trial")
+        return self._result(sample, t, 0, target, 'no_match')
 
     def raw_precision(self, sample: str, target: float) -> str:
         c = self.curves(sample)
-        t = self.add(f"SELECT trial, min(score_u) AS tau_u, NULL AS target_u FROM {c} WHERE cum_pos::DOUBLE >= {target!r}::DOUBLE * cum_all::DOUBLE GROUP BY trial")
-        return self._result(sample, t, NOTHING, target)
+        t = self.add(f"SELECT trial, min(score_u) AS tau_u, NULL AS target_u, 'unguaranteed' AS flag FROM {c} WHERE cum_pos::DOUBLE >= {target!r}::DOUBLE * cum_all::DOUBLE GROUP BY trial")
+        return self._result(sample, t, NOTHING, target, 'none_passed')
 
     def bound_recall(self, sample: str, s: SelectionSpec, r_max: float = 1.0) -> str:
         c, g, half = self.curves(sample), s.target, s.delta / 2
@@ -163,20 +172,63 @@ class Twin:
         v, v2 = "mult * r_u * y", "(mult * r_u * r_u * y)::HUGEINT"
         h = self.add(f"""SELECT s.trial, sum(mult)::DOUBLE AS s, sum(CASE WHEN score_u >= t0 THEN {v} ELSE 0 END)::DOUBLE AS a1, sum(CASE WHEN score_u >= t0 THEN {v2} ELSE 0 END)::DOUBLE AS a2,
  sum(CASE WHEN score_u >= t0 THEN 0 ELSE {v} END)::DOUBLE AS b1, sum(CASE WHEN score_u >= t0 THEN 0 ELSE {v2} END)::DOUBLE AS b2 FROM {sample} s JOIN {first} f ON s.trial = f.trial GROUP BY s.trial""")
+        bounds = {"top": f"a1 / s + sqrt(greatest(0.0::DOUBLE, (a2 - a1 * a1 / s) / (s - 1.0::DOUBLE))) / sqrt(s) * {tail(half)!r}::DOUBLE",
+                  "bottom": f"b1 / s - sqrt(greatest(0.0::DOUBLE, (b2 - b1 * b1 / s) / (s - 1.0::DOUBLE))) / sqrt(s) * {tail(half)!r}::DOUBLE"}
         if s.bound == "hoeffding":
-            m = lambda x: f"{1e6 * r_max * math.sqrt(math.log(1 / half) / 2)!r}::DOUBLE / sqrt(s)"
-        else:
-            m = lambda x: f"sqrt(greatest(0.0::DOUBLE, ({x}2 - {x}1 * {x}1 / s) / (s - 1.0::DOUBLE))) / sqrt(s) * {tail(half)!r}::DOUBLE"
-        goal = self.add(f"SELECT trial, least(1.0::DOUBLE, top / (top + bottom)) AS goal FROM (SELECT trial, a1 / s + {m('a')} AS top, greatest(0.0::DOUBLE, b1 / s - {m('b')}) AS bottom FROM {h})")
-        t = self.add(f"SELECT c.trial, max(score_u) AS tau_u, max(round(goal * 1000000::DOUBLE)) AS target_u FROM {c} c JOIN {goal} g ON c.trial = g.trial WHERE total_pos > 0 AND cum_pos::DOUBLE >= goal * total_pos::DOUBLE GROUP BY c.trial")
-        return self._result(sample, t, 0, g)
+            wide = f"{1e6 * r_max * math.sqrt(math.log(1 / half) / 2)!r}::DOUBLE / sqrt(s)"
+            bounds = {"top": f"a1 / s + {wide}", "bottom": f"b1 / s - {wide}"}
+        elif s.bound == "bootstrap":
+            means = self.add(f"""SELECT r.trial, rep, sum(CASE WHEN score_u >= t0 THEN m * r_u * y ELSE 0 END)::DOUBLE / sum(m) AS above,
+ sum(CASE WHEN score_u >= t0 THEN 0 ELSE m * r_u * y END)::DOUBLE / sum(m) AS below FROM {self.replicated(sample, replicates_for(half), s.seed)} r JOIN {first} f ON r.trial = f.trial GROUP BY r.trial, rep""")
+            h = self.add(f"""SELECT h.*, top, bottom FROM {h} h JOIN (SELECT trial, quantile_cont(above, {1 - half!r}) AS top, quantile_cont(below, {half!r}) AS bottom FROM {means} GROUP BY trial) q ON h.trial = q.trial""")
+            bounds = {"top": "top", "bottom": "bottom"}
+        goal = self.add(f"""SELECT trial, least(1.0::DOUBLE, hi / (hi + greatest(0.0::DOUBLE, lo))) AS goal, lo <= 0 AS over, pow({g!r}::DOUBLE, (a1 + b1) * (a1 + b1) / (a2 + b2)) <= {s.delta!r}::DOUBLE AS enough
+ FROM (SELECT *, {bounds['top']} AS hi, {bounds['bottom']} AS lo FROM {h})""")
+        cut = "CASE WHEN bool_or(over AND NOT enough) THEN 0 ELSE max(score_u) END" if s.overflow == "guarded" else "max(score_u)"
+        t = self.add(f"""SELECT c.trial, {cut} AS tau_u, max(round(goal * 1000000::DOUBLE)) AS target_u, CASE WHEN bool_or(over AND NOT enough) THEN 'few_matches' WHEN bool_or(over) THEN 'clamped' ELSE '' END AS flag
+ FROM {c} c JOIN {goal} g ON c.trial = g.trial WHERE total_pos > 0 AND cum_pos::DOUBLE >= goal * total_pos::DOUBLE GROUP BY c.trial""")
+        return self._result(sample, t, 0, g, "no_match")
+
+    def copies(self, source: str, u: str, rate: str) -> str:
+        """source with copies, the Poisson count of its uniform number u at its rate."""
+        e = self.add(f"SELECT *, row_number() OVER () AS rid, {u} AS pu, {rate} AS pr FROM {source}")
+        # All terms of all rows; sums run in the order of the terms.
+        c = self.add(f"SELECT rid, count(*) AS copies FROM (SELECT rid, pu, sum(exp(-pr) * pow(pr, i) / gamma(i + 1.0::DOUBLE)) OVER (PARTITION BY rid ORDER BY i ROWS UNBOUNDED PRECEDING) AS c "
+                     f"FROM {e}, (SELECT unnest(range({POISSON_TERMS} + 1)) AS i) WHERE pu > exp(-pr)) WHERE pu > c GROUP BY rid")
+        return self.add(f"SELECT e.*, coalesce(copies, 0) AS copies FROM {e} e LEFT JOIN {c} c ON e.rid = c.rid")
+
+    def replicated(self, sample: str, replicates: int, seed: int) -> str:
+        u = self.add(f"SELECT trial, key, score_u, y, r_u, rep, {unit("key || '/' || trial || '/' || draw", f'rep + {seed}', 'boot')} AS pu FROM (SELECT *, unnest(range(1, mult + 1)) AS draw FROM {sample}), "
+                     f"(SELECT unnest(range({replicates}))::INTEGER AS rep)")
+        m = " + ".join(f"(pu > {c!r}::DOUBLE)::INTEGER" for c in poisson_one())
+        return self.add(f"SELECT * FROM (SELECT *, {m} AS m FROM {u}) WHERE m > 0")
+
+    def poisson(self, budget: int, seed: int = 0, exponent: float = 0.5, mix: float = 0.1) -> str:
+        w = self.weights("u", exponent, mix)
+        rate = budget + 5 * math.sqrt(budget) + 20
+        r = self.add(f"SELECT *, {rate!r}::DOUBLE * w_u / total AS rate, greatest(1, ceil({rate!r}::DOUBLE * w_u / total / 15)::INTEGER) AS pieces FROM {w}, (SELECT sum(w_u)::BIGINT AS total FROM {w})")
+        p = self.add(f"SELECT *, unnest(range(1, pieces + 1)) AS piece FROM {r}")
+        c = self.copies(p, unit("key || '/' || piece", str(seed), "poisson"), "rate / pieces")
+        k = self.add(f"SELECT *, unnest(range(1, copies + 1)) AS copy FROM {c} WHERE copies > 0")
+        h2 = hashed("key || '/' || piece || '/' || copy", str(seed), "keep")
+        return self.add(f"""SELECT 0 AS trial, key, score_u, y, count(*) AS mult, r_u FROM (SELECT key, score_u, y, CAST(round(1000000::DOUBLE * total / (n * w_u)) AS BIGINT) AS r_u
+ FROM {k} ORDER BY {h2}, key LIMIT {budget}) GROUP BY key, score_u, y, r_u""")
 
     def bound_precision(self, sample: str, s: SelectionSpec, share: float) -> str:
         c = self.curves(sample)
         p = self.add(f"SELECT *, cum_pos::DOUBLE / cum_all::DOUBLE AS p, cum_all::DOUBLE / k::DOUBLE AS mr FROM {c} WHERE k // {s.step} > (k - d) // {s.step}")
         sd = self.add(f"SELECT *, CASE WHEN k > 1 THEN sqrt(greatest(0.0::DOUBLE, (sq_pos::DOUBLE * (1.0::DOUBLE - p - p) + sq_all::DOUBLE * p * p) / (mr * mr) / (k - 1)::DOUBLE)) ELSE 0.0::DOUBLE END AS sd FROM {p}")
-        t = self.add(f"SELECT trial, min(score_u) AS tau_u, NULL AS target_u FROM {sd} WHERE p - sd / sqrt(k::DOUBLE) * {tail(share)!r}::DOUBLE > {s.target!r}::DOUBLE GROUP BY trial")
-        return self._result(sample, t, NOTHING, s.target)
+        if s.bound == "bootstrap":
+            r = self.add(f"""SELECT trial, rep, score_u, sum(m * r_u)::BIGINT AS c, sum(m * r_u * y)::BIGINT AS cy FROM {self.replicated(sample, replicates_for(share), s.seed)} GROUP BY trial, rep, score_u""")
+            w = "(PARTITION BY e.trial, e.rep ORDER BY e.score_u DESC ROWS UNBOUNDED PRECEDING)"
+            down = self.add(f"""SELECT e.trial, e.score_u, sum(c) OVER {w} AS c, sum(cy) OVER {w} AS cy FROM (SELECT trial, score_u, unnest(range({replicates_for(share)}))::INTEGER AS rep FROM (SELECT DISTINCT trial, score_u FROM {sample})) e
+ LEFT JOIN {r} r ON e.trial = r.trial AND e.rep = r.rep AND e.score_u = r.score_u""")
+            low = self.add(f"SELECT trial, score_u, quantile_cont(coalesce(cy::DOUBLE / c::DOUBLE, 0.0::DOUBLE), {share!r}) AS low FROM {down} GROUP BY trial, score_u")
+            passed = f"{sd} d JOIN {low} l ON d.trial = l.trial AND d.score_u = l.score_u WHERE low > {s.target!r}::DOUBLE"
+        else:
+            passed = f"{sd} d WHERE p - sd / sqrt(k::DOUBLE) * {tail(share)!r}::DOUBLE > {s.target!r}::DOUBLE"
+        t = self.add(f"SELECT d.trial, min(d.score_u) AS tau_u, NULL AS target_u, '' AS flag FROM {passed} GROUP BY d.trial")
+        return self._result(sample, t, NOTHING, s.target, "none_passed")
 
     def twostage(self, s: SelectionSpec, trials: int = 1) -> tuple[str, str]:
         half = s.budget // 2
@@ -193,7 +245,7 @@ class Twin:
         terms = s.grid_tests if s.union_terms == "budget" else max(1, math.ceil(half / s.step))
         tau = self.bound_precision(used, s, s.delta / (2 * terms))
         both = self.add(f"SELECT DISTINCT trial, key, score_u, y FROM (SELECT trial, key, score_u, y FROM {one} UNION ALL SELECT trial, key, score_u, y FROM {two})")
-        out = self.add(f"""SELECT l.trial, coalesce(tau_u, {NOTHING})::BIGINT AS tau_u, {round(s.target * 1e6)}::BIGINT AS target_u, l.n_labels FROM (SELECT trial, count(*) AS n_labels FROM {both} GROUP BY trial) l
+        out = self.add(f"""SELECT l.trial, coalesce(tau_u, {NOTHING})::BIGINT AS tau_u, {round(s.target * 1e6)}::BIGINT AS target_u, l.n_labels, coalesce(flag, 'none_passed') AS flag FROM (SELECT trial, count(*) AS n_labels FROM {both} GROUP BY trial) l
  LEFT JOIN {tau} t ON l.trial = t.trial""")
         return out, both
 
@@ -228,4 +280,5 @@ class Twin:
     def answer(self, s: SelectionSpec) -> str:
         tau, labelled = self.estimate(s)
         drop = f" AND key NOT IN (SELECT key FROM {labelled} WHERE y = 0)" if s.drop_known_negatives else ""
-        return f"SELECT key, score_u FROM u WHERE (score_u >= (SELECT tau_u FROM {tau}) OR key IN (SELECT key FROM {labelled} WHERE y = 1)){drop}"
+        whole = f"(SELECT count(*) FROM u) <= {s.budget}"
+        return f"SELECT key, score_u FROM u WHERE CASE WHEN {whole} THEN y = 1 ELSE (score_u >= (SELECT tau_u FROM {tau}) OR key IN (SELECT key FROM {labelled} WHERE y = 1)){drop} END"

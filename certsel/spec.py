@@ -25,16 +25,16 @@ class SelectionSpec:
     exponent: float = 0.5
     step: int = 100
     bound: str = "normal"
-    draws: str = "distinct"  # of uniform samples: distinct or iid
+    draws: str = "distinct"  # of uniform samples: distinct or iid; of weighted ones poisson draws in one map (single runs)
     stage2_weighting: str = "ratio"  # ratio or plain
     union_terms: str = "budget"  # budget or actual
-    overflow: str = "sample_min"  # or guarded
+    overflow: str = "guarded"  # or sample_min: what a recall goal does where too few matches were drawn for its bounds
     drop_known_negatives: bool = False
     allow_no_mix: bool = False
 
     def __post_init__(self):
         ok = (self.goal in ("recall", "precision"), 0 < self.target <= 1, 0 < self.delta < 1, self.budget > 0, self.method in METHODS, 0 <= self.mix <= 1,
-              0 <= self.exponent <= 1, self.step > 0, self.bound in BOUNDS, self.draws in ("distinct", "iid"), self.stage2_weighting in ("ratio", "plain"),
+              0 <= self.exponent <= 1, self.step > 0, self.bound in BOUNDS, self.draws in ("distinct", "iid", "poisson"), self.stage2_weighting in ("ratio", "plain"),
               self.union_terms in ("budget", "actual"), self.overflow in ("sample_min", "guarded"))
         if not all(ok):
             raise ValueError(f"not a valid selection: {self}")
@@ -44,6 +44,10 @@ class SelectionSpec:
             raise ValueError("without a uniform share, matches with score 0 are never drawn and the recall guarantee is void")
         if self.bound == "clopper_pearson" and self.is_weighted:
             raise ValueError("the exact binomial bound needs a uniform sample")
+        if self.goal == "precision" and self.is_weighted and self.bound == "hoeffding":
+            raise ValueError("a weighted precision is a ratio, which this bound does not cover")
+        if self.method == "twostage" and self.bound not in ("normal", "student"):
+            raise ValueError("two-stage sampling takes normal and student bounds")
         if self.budget <= 100:
             warnings.warn("bounds are asymptotic: more than 100 labels are advised", stacklevel=2)
 
