@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from certsel.spec import GRID
@@ -35,10 +35,10 @@ def answer_metrics(answer: DataFrame, truth: DataFrame) -> DataFrame:
                     F.round(F.when(F.col("matches") > 0, F.col("hits") / F.col("matches")).otherwise(1.0), 6).alias("recall"))
 
 
-def failure_rate(trials: DataFrame, goal: str, target: float, by: tuple = ()) -> DataFrame:
+def failure_rate(trials: DataFrame, goal: str, target, by: tuple = ()) -> DataFrame:
     """Share of trials below the target, and the mean of the other measure (quality)."""
     other = "precision" if goal == "recall" else "recall"
-    failed = F.col(goal) < F.lit(target)
+    failed = F.col(goal) < (target if isinstance(target, Column) else F.lit(target))
     return trials.groupBy(*by).agg(F.count("*").alias("n_trials"), F.sum(failed.cast("int")).cast("long").alias("n_failed"),
                                    F.round(F.avg(failed.cast("int")), 6).alias("failure_rate"), F.round(F.avg(other), 6).alias("quality"),
                                    F.round(F.avg("size"), 6).alias("mean_size"))
@@ -89,6 +89,33 @@ def cost(n: int, budget: int, proxy_per_second: float, sampling_seconds: float =
     return parts | {"total": total, "exhaustive": n * label_price, "gain": n * label_price / total if total else float("inf")}
 
 
+def cost_columns(n: Column, budget: int, proxy_per_second: float, sampling_seconds: float = 0.09, label_price: float = 0.08, hour_price: float = 3.06) -> list[Column]:
+    """The parts of cost() over a column of table sizes, rounded."""
+    sampling, oracle = F.lit(sampling_seconds / 3600 * hour_price), F.lit(budget * label_price)
+    proxy = n / F.lit(proxy_per_second) / F.lit(3600) * F.lit(hour_price)
+    total, every = sampling + proxy + oracle, n * F.lit(label_price)
+    return [F.round(c, d).alias(x) for x, c, d in (("sampling", sampling, 6), ("proxy", proxy, 6), ("oracle", oracle, 6), ("total", total, 6), ("exhaustive", every, 6), ("gain", every / total, 4))]
+
+
+def gain_factor(rates: DataFrame, base: str, ours: str) -> DataFrame:
+    """(target, base_quality, quality, gain): by how much one method's mean quality exceeds another's at equal targets; null where the base has none."""
+    a, b = (rates.where(F.col("method") == m).select("target", F.col("quality").alias(q)) for m, q in ((base, "base_quality"), (ours, "quality")))
+    return a.join(b, "target").withColumn("gain", F.when(F.col("base_quality") > 0, F.round(F.col("quality") / F.col("base_quality"), 4)))
+
+
+def calibration_of_sample(sample: DataFrame, buckets: int = 10) -> DataFrame:
+    """calibration() as a weighted sample estimates it: reweighted matches over reweighted draws of each bucket."""
+    b = F.least(F.lit(buckets - 1), F.floor(F.col("score_u") * buckets / F.lit(GRID))).cast("long")
+    c = F.col("mult") * F.col("r_u")
+    return sample.groupBy(b.alias("bucket")).agg(F.sum("mult").alias("draws"), F.round(F.sum(c * F.col("y")).cast("double") / F.sum(c), 6).alias("rate"))
+
+
+def noise_share(universe: DataFrame, noise: tuple[float, ...]) -> DataFrame:
+    """(noise, percent): proxy noise as a percentage of the scores' own spread."""
+    sd = universe.agg(F.stddev_pop(F.col("score_u") / F.lit(float(GRID))).alias("sd"))
+    return sd.select(F.explode(F.array(*[F.lit(s) for s in noise])).alias("noise"), "sd").select("noise", F.round(100 * F.col("noise") / F.col("sd"), 4).alias("percent"))
+
+
 def diff(a: DataFrame, b: DataFrame) -> DataFrame:
     """Keys in one answer alone, with the side they are on."""
     j = a.select("key", F.lit(1).alias("in_a")).join(b.select("key", F.lit(1).alias("in_b")), "key", "full")

@@ -79,7 +79,32 @@ def rollup_lines(spark, sf_dir):
     return load(spark, sf_dir, "lineitem").rollup("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("qty"))
 
 
+def grouping_lines(spark, sf_dir):
+    """Chosen groupings in one pass, told apart by their grouping number."""
+    load(spark, sf_dir, "lineitem").select("l_returnflag", "l_linestatus", "l_quantity").createOrReplaceTempView("certsel_lines")
+    return spark.sql("""SELECT l_returnflag, l_linestatus, CAST(grouping_id() AS INT) AS level, count(*) AS n, round(sum(l_quantity), 2) AS qty
+        FROM certsel_lines GROUP BY GROUPING SETS ((l_returnflag, l_linestatus), (l_linestatus), ())""")
+
+
+def ranked_events(spark, sf_dir):
+    """Rank and quarter of each event within its type, by value."""
+    w = Window.partitionBy("event_type").orderBy(F.desc("value"), "event_id")
+    return load(spark, sf_dir, "events").select("event_id", F.rank().over(w).alias("place"), F.ntile(4).over(w).alias("quarter"))
+
+
+def approximate_users(spark, sf_dir):
+    """Whether sketches are within their promised errors of the exact distinct count and median."""
+    a = load(spark, sf_dir, "events").agg(F.approx_count_distinct("user_id", 0.02).alias("u"), F.countDistinct("user_id").alias("v"),
+                                          F.percentile_approx("value", 0.5, 1000).alias("m"), F.avg((F.col("value") > 0).cast("int")).alias("z"),
+                                          F.expr("percentile(value, 0.49)").alias("low"), F.expr("percentile(value, 0.51)").alias("high"))
+    return a.select(F.col("v").alias("users"), (F.abs(F.col("u") - F.col("v")) <= 0.08 * F.col("v")).alias("count_near"), F.col("m").between(F.col("low"), F.col("high")).alias("median_near"))
+
+
 QUERIES = {
+    "grouping_lines": (grouping_lines, """SELECT l_returnflag, l_linestatus, CAST(grouping(l_returnflag, l_linestatus) AS INTEGER) AS level, count(*) AS n, round(sum(l_quantity), 2) AS qty
+        FROM lineitem GROUP BY GROUPING SETS ((l_returnflag, l_linestatus), (l_linestatus), ())"""),
+    "ranked_events": (ranked_events, """SELECT event_id, CAST(rank() OVER w AS INTEGER) AS place, CAST(ntile(4) OVER w AS INTEGER) AS quarter FROM events WINDOW w AS (PARTITION BY event_type ORDER BY value DESC, event_id)"""),
+    "approximate_users": (approximate_users, "SELECT count(DISTINCT user_id) AS users, true AS count_near, true AS median_near FROM events"),
     "join_labels_semi": (labelled_docs, "SELECT doc_id, lang, source FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)"),
     "join_unlabelled_anti": (unlabelled_docs, "SELECT doc_id, lang, source FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels WHERE doc_id IS NOT NULL)"),
     "asof_threshold": (as_of_threshold, """SELECT event_id, bar FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(value) AS bar FROM events

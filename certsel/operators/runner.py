@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from certsel.operators import sampling, thresholds
@@ -63,16 +63,25 @@ class Labelling:
         """(cut-offs, labelled rows) of the independent runs; labelled rows are trial, key, score_u, y."""
         if spec.method in ("exhaustive", "everything", "nothing"):
             raise ValueError(f"{spec.method} draws no sample")
-        s = self.sample(spec)
+        return self._estimate(spec, self.sample(spec), spec.target, self.trials)
+
+    def sweep(self, spec: SelectionSpec, targets: list[float]) -> tuple[DataFrame, DataFrame, Column]:
+        """estimate() for many targets in one plan: the runs of the k-th target are trials k * trials and on; also gives the target of a trial."""
+        numbers = self.sample(spec).sparkSession.range(len(targets)).select(F.col("id").cast("int").alias("target_no"))
+        s = self.sample(spec).crossJoin(F.broadcast(numbers)).withColumn("trial", F.col("trial") + F.col("target_no") * self.trials).drop("target_no")
+        target = F.element_at(F.array(*[F.lit(float(g)) for g in targets]), F.floor(F.col("trial") / self.trials).cast("int") + 1)
+        return *self._estimate(spec, s, target, self.trials * len(targets)), target
+
+    def _estimate(self, spec: SelectionSpec, s: DataFrame, target, trials: int) -> tuple[DataFrame, DataFrame]:
         if spec.method == "twostage":
-            return thresholds.twostage_precision(self.universe, self.label, spec, self.trials, self.hist, s)
+            return thresholds.twostage_precision(self.universe, self.label, spec, trials, self.hist, s, target, self.trials)
         r_max = (1 / spec.mix if spec.mix else 1e6) if spec.is_weighted else 1.0
         if spec.method == "uniform_raw":
-            tau = (thresholds.raw_recall if spec.goal == "recall" else thresholds.raw_precision)(s, spec.target)
+            tau = (thresholds.raw_recall if spec.goal == "recall" else thresholds.raw_precision)(s, target)
         elif spec.goal == "recall":
-            tau = thresholds.bound_recall(s, spec, r_max)
+            tau = thresholds.bound_recall(s, spec, r_max, target)
         else:
-            tau = thresholds.bound_precision(s, spec, spec.delta / thresholds.tests_of(spec, spec.budget), r_max)
+            tau = thresholds.bound_precision(s, spec, spec.delta / thresholds.tests_of(spec, spec.budget), r_max, target)
         return tau, s.select("trial", "key", "score_u", "y")
 
 

@@ -88,9 +88,9 @@ def weighted_classes(hist: DataFrame, exponent: float, mix: float, floors: DataF
     return staged(h.select(*by, "score_u", "c", "n", "w_u", "total", (F.col("class_end") - F.col("span")).alias("class_start"), "class_end"), "spans")
 
 
-def draws(spark, budget: int, trials: int, seed: int, stream: str) -> DataFrame:
+def draws(spark, budget: int, trials: int, seed: int, stream: str, cycle: int | None = None) -> DataFrame:
     d = spark.range(budget * trials).select((F.col("id") / F.lit(budget)).cast("int").alias("trial"), (F.col("id") % budget).alias("j"))
-    return d.select("trial", unit(hashed(F.col("j"), F.col("trial") + seed, stream)).alias("u"))
+    return d.select("trial", unit(hashed(F.col("j"), F.col("trial") % (cycle or trials) + seed, stream)).alias("u"))
 
 
 def _strip(x: Column, total: Column) -> Column:
@@ -126,17 +126,18 @@ def _records(universe: DataFrame, wanted: DataFrame, seed: int) -> DataFrame:
 
 
 def weighted_cdf(universe: DataFrame, budget: int, trials: int = 1, seed: int = 0, exponent: float = 0.5, mix: float = 0.1,
-                 floors: DataFrame | None = None, stream: str = "draw", hist: DataFrame | None = None) -> DataFrame:
+                 floors: DataFrame | None = None, stream: str = "draw", hist: DataFrame | None = None,
+                 cycle: int | None = None) -> DataFrame:
     """`budget` draws with replacement, each record in proportion to its weight, by inverting the running weight total.
 
     Weights depend on scores alone, so the running total is made over the score histogram: a draw finds its score there, and
     its place among the equally heavy records of that score by division.  Trials share histogram and record order, so a
-    universe of its own for each trial (floors) costs no pass over records.
+    universe of its own for each trial (floors) costs no pass over records.  Trials `cycle` apart use the same random numbers.
     """
     by = [] if floors is None else ["trial"]
     classes = weighted_classes(histogram(universe) if hist is None else hist, exponent, mix, floors)
     totals = classes.groupBy(*by).agg(F.max("total").alias("total"))
-    d = draws(universe.sparkSession, budget, trials, seed, stream)
+    d = draws(universe.sparkSession, budget, trials, seed, stream, cycle)
     d = d.join(F.broadcast(totals), by) if by else d.crossJoin(F.broadcast(totals))  # one row, or one a trial
     d = d.withColumn("at", F.floor(F.col("u") * F.col("total")).cast("long"))
     hit = _in_span(d, classes, by, "at", "class_start", "class_end", "total")

@@ -11,7 +11,7 @@ import math
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from certsel.functions import bounds
@@ -23,30 +23,36 @@ from certsel.spec import NOTHING, SelectionSpec, tail
 REPLICATES = 400
 
 
-def _result(sample: DataFrame, tau: DataFrame, default: int, target: float, missing: str, flag: str = "") -> DataFrame:
+def _result(sample: DataFrame, tau: DataFrame, default: int, target, missing: str, flag: str = "") -> DataFrame:
     """One row for every trial of the sample, with the default where no cut was found."""
     labels = sample.groupBy("trial").agg(F.count("*").alias("n_labels"))
     j = labels.join(tau, "trial", "left")
-    goal = F.coalesce("target_u", F.lit(round(target * 1e6))) if "target_u" in tau.columns else F.lit(round(target * 1e6))
+    asked = F.round(_goal(target) * F.lit(1e6))
+    goal = F.coalesce("target_u", asked) if "target_u" in tau.columns else asked
     own = F.col("flag") if "flag" in tau.columns else F.lit(flag)
     return j.select("trial", F.coalesce("tau_u", F.lit(default)).cast("long").alias("tau_u"), goal.cast("long").alias("target_u"), "n_labels",
                     F.when(F.col("tau_u").isNull(), missing).otherwise(own).alias("flag"))
 
 
+def _goal(target) -> Column:
+    """A target is a number, or a column over trial where trials have targets of their own."""
+    return target if isinstance(target, Column) else F.lit(float(target))
+
+
 def _cut(curve: DataFrame, goal) -> DataFrame:
     """Highest score whose running positive weight reaches the goal's share of the total."""
     reached = F.col("cum_pos").cast("double") >= goal * F.col("total_pos").cast("double")
     return curve.where(reached & (F.col("total_pos") > 0)).groupBy("trial").agg(F.max("score_u").alias("tau_u"))
 
 
-def raw_recall(sample: DataFrame, target: float) -> DataFrame:
+def raw_recall(sample: DataFrame, target) -> DataFrame:
     """No guarantee: the highest cut with enough sample recall; everything where no positive was drawn."""
-    return _result(sample, _cut(curves(sample), F.lit(target)), 0, target, "no_match", "unguaranteed")
+    return _result(sample, _cut(curves(sample), _goal(target)), 0, target, "no_match", "unguaranteed")
 
 
-def raw_precision(sample: DataFrame, target: float) -> DataFrame:
+def raw_precision(sample: DataFrame, target) -> DataFrame:
     """No guarantee: the lowest cut with enough sample precision, which need not be the first one met."""
-    ok = F.col("cum_pos").cast("double") >= F.lit(target) * F.col("cum_all").cast("double")
+    ok = F.col("cum_pos").cast("double") >= _goal(target) * F.col("cum_all").cast("double")
     return _result(sample, curves(sample).where(ok).groupBy("trial").agg(F.min("score_u").alias("tau_u")), NOTHING, target, "none_passed", "unguaranteed")
 
 
@@ -61,7 +67,7 @@ def _halves(sample: DataFrame, first: DataFrame) -> DataFrame:
                                   F.sum(F.when(up, F.lit(0).cast("decimal(38,0)")).otherwise(v2)).cast("double").alias("b2"))
 
 
-def bound_recall(sample: DataFrame, spec: SelectionSpec, r_max: float = 1.0) -> DataFrame:
+def bound_recall(sample: DataFrame, spec: SelectionSpec, r_max: float = 1.0, target=None) -> DataFrame:
     """Guaranteed: the goal is inflated by an upper bound of the mass above the first cut and a lower one of the mass below.
 
     A lower bound under zero counts as zero: the goal is then 1 and the cut is the lowest sampled match.  That is safe only if
@@ -70,8 +76,8 @@ def bound_recall(sample: DataFrame, spec: SelectionSpec, r_max: float = 1.0) ->
     sum of their squares, since the matches a weighted sample misses are those it seldom draws.  Where they are too few everything is returned (overflow='guarded'); with 'sample_min' the
     cut stays, and the run is flagged.
     """
-    curve, g, half = curves(sample), spec.target, spec.delta / 2
-    first = _cut(curve, F.lit(g))
+    curve, g, half = curves(sample), _goal(spec.target if target is None else target), spec.delta / 2
+    first = _cut(curve, g)
     h = _halves(sample, first)
     mean = lambda x: F.col(f"{x}1") / F.col("s")
     sd = lambda x: F.sqrt(F.greatest(F.lit(0.0), (F.col(f"{x}2") - F.col(f"{x}1") * F.col(f"{x}1") / F.col("s")) / (F.col("s") - 1.0)))
@@ -87,7 +93,7 @@ def bound_recall(sample: DataFrame, spec: SelectionSpec, r_max: float = 1.0) ->
     else:
         return _bound_recall_in_python(sample, spec)
     bottom = F.greatest(F.lit(0.0), bottom)
-    enough = F.pow(F.lit(g), (F.col("a1") + F.col("b1")) * (F.col("a1") + F.col("b1")) / (F.col("a2") + F.col("b2"))) <= spec.delta
+    enough = F.pow(g, (F.col("a1") + F.col("b1")) * (F.col("a1") + F.col("b1")) / (F.col("a2") + F.col("b2"))) <= spec.delta
     goal = h.select("trial", F.least(F.lit(1.0), top / (top + bottom)).alias("goal"), (bottom <= 0).alias("over"), enough.alias("enough"))
     second = _cut(curve.join(F.broadcast(goal), "trial"), F.col("goal")).join(goal, "trial")  # one row a trial
     weak = F.col("over") & ~F.col("enough")
@@ -159,11 +165,12 @@ def _bound_recall_in_python(sample: DataFrame, spec: SelectionSpec) -> DataFrame
     return _result(sample, found, 0, spec.target, "no_match")
 
 
-def bound_precision(sample: DataFrame, spec: SelectionSpec, share: float, r_max: float = 1.0) -> DataFrame:
+def bound_precision(sample: DataFrame, spec: SelectionSpec, share: float, r_max: float = 1.0, target=None) -> DataFrame:
     """Guaranteed: every `step` draws from the top give a candidate; the lowest one whose lower bound exceeds the target is taken.
 
     A candidate keeps all draws at or above its score, so ties make it keep more.  `share` is the failure probability of one test.
     """
+    g = _goal(spec.target if target is None else target)
     c = precision_stats(curves(sample))
     before = F.col("k") - F.col("d")
     c = c.where(F.floor(F.col("k") / F.lit(spec.step)) > F.floor(before / F.lit(spec.step)))
@@ -183,8 +190,8 @@ def bound_precision(sample: DataFrame, spec: SelectionSpec, share: float, r_max:
         bound = F.col("p") - F.lit(r_max * math.sqrt(math.log(1 / share) / 2)) / F.sqrt(F.col("k").cast("double"))
     else:
         bound = F.col("p") - F.col("sd") / F.sqrt(F.col("k").cast("double")) * F.lit(tail(share))
-    ok = c.where(bound > F.lit(spec.target))
-    return _result(sample, ok.groupBy("trial").agg(F.min("score_u").alias("tau_u")), NOTHING, spec.target, "none_passed")
+    ok = c.where(bound > g)
+    return _result(sample, ok.groupBy("trial").agg(F.min("score_u").alias("tau_u")), NOTHING, g, "none_passed")
 
 
 def _bootstrap_ratios(sample: DataFrame, share: float, seed: int) -> DataFrame:
@@ -203,7 +210,7 @@ def tests_of(spec: SelectionSpec, present: int) -> int:
     return spec.grid_tests if spec.union_terms == "budget" else max(1, math.ceil(present / spec.step))
 
 
-def match_bound(sample: DataFrame, n: DataFrame, spec: SelectionSpec) -> DataFrame:
+def match_bound(sample: DataFrame, n: DataFrame, spec: SelectionSpec, target=None) -> DataFrame:
     """(trial, n_match, rank): an upper bound of the number of matches, and the rank from the top that holds them at the target."""
     v, v2 = F.col("mult") * F.col("r_u") * F.col("y"), (F.col("mult") * F.col("r_u") * F.col("r_u") * F.col("y")).cast("decimal(38,0)")
     m = sample.groupBy("trial").agg(F.sum("mult").cast("double").alias("s"), F.sum(v).cast("double").alias("a1"), F.sum(v2).cast("double").alias("a2"))
@@ -213,7 +220,7 @@ def match_bound(sample: DataFrame, n: DataFrame, spec: SelectionSpec) -> DataFra
     scale = tail(spec.delta / 2) if spec.bound == "normal" else bounds.student_quantile(1 - spec.delta / 2, max(1, spec.budget // 2 - 1))
     upper = mean + sd / F.sqrt("s") * F.lit(scale)
     n_match = F.least(F.col("n").cast("double"), F.col("n") * upper)
-    return m.select("trial", n_match.alias("n_match"), F.ceil(n_match / F.lit(spec.target)).cast("long").alias("rank"))
+    return m.select("trial", n_match.alias("n_match"), F.ceil(n_match / _goal(spec.target if target is None else target)).cast("long").alias("rank"))
 
 
 def rank_floor(universe: DataFrame, ranks: DataFrame, hist: DataFrame | None = None) -> DataFrame:
@@ -227,25 +234,27 @@ def rank_floor(universe: DataFrame, ranks: DataFrame, hist: DataFrame | None = N
     return ranks.join(found, "trial", "left").select("trial", F.coalesce("floor", F.lit(0)).cast("long").alias("floor"))
 
 
-def twostage_precision(universe: DataFrame, label, spec: SelectionSpec, trials: int = 1, hist: DataFrame | None = None, one: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+def twostage_precision(universe: DataFrame, label, spec: SelectionSpec, trials: int = 1, hist: DataFrame | None = None,
+                       one: DataFrame | None = None, target=None, cycle: int | None = None) -> tuple[DataFrame, DataFrame]:
     """Half of the budget bounds the number of matches; the other half tests cut-offs among as many top records as can hold them.
 
     Returns the cut-offs and all labelled rows of both halves.  hist and one (the labelled first half) are made if not given.
+    Trials `cycle` apart, which differ in their targets, draw by the same random numbers.
     """
-    half = spec.budget // 2
+    half, target = spec.budget // 2, spec.target if target is None else target
     hist = sampling.histogram(universe) if hist is None else hist
     one = first_half(universe, label, spec, trials, hist) if one is None else one
     n = hist.agg(F.sum("c").alias("n"))
-    found = rank_floor(universe, match_bound(one, n, spec), hist).collect()  # one row a trial: stage 2 is planned from it
+    found = rank_floor(universe, match_bound(one, n, spec, target), hist).collect()  # one row a trial: stage 2 is planned from it
     floors = universe.sparkSession.createDataFrame(found, "trial int, floor long").coalesce(1)
     region = universe.where(F.col("score_u") >= min((r.floor for r in found), default=0))
-    two = label(sampling.weighted_cdf(region, half, trials, spec.seed, spec.exponent, spec.mix, floors, "stage2", hist))
+    two = label(sampling.weighted_cdf(region, half, trials, spec.seed, spec.exponent, spec.mix, floors, "stage2", hist, cycle))
     used = two if spec.stage2_weighting == "ratio" else unweighted(two)
-    tau = bound_precision(used, spec, spec.delta / (2 * tests_of(spec, half)))
+    tau = bound_precision(used, spec, spec.delta / (2 * tests_of(spec, half)), target=target)
     both = one.select("trial", "key", "score_u", "y").union(two.select("trial", "key", "score_u", "y")).distinct()
     labels = both.groupBy("trial").agg(F.count("*").alias("n_labels"))
     tau = labels.join(tau.drop("n_labels"), "trial", "left").select("trial", F.coalesce("tau_u", F.lit(NOTHING)).cast("long").alias("tau_u"),
-                                                                    F.lit(round(spec.target * 1e6)).cast("long").alias("target_u"), "n_labels",
+                                                                    F.round(_goal(target) * F.lit(1e6)).cast("long").alias("target_u"), "n_labels",
                                                                     F.coalesce("flag", F.lit("none_passed")).alias("flag"))
     return tau, both
 

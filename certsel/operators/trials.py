@@ -27,11 +27,25 @@ def compare(truth: DataFrame, specs: dict[str, SelectionSpec], trials: int) -> D
     scored = staged(truth.select("key", "score_u", "y"), "scored")
     hist = staged(measures.histogram(scored), "histogram")
     runs = runner.Labelling(scored, lambda df: df, trials, scored.select("key", "score_u"))
-    rows = [measures.failure_rate(measures.achieved(hist, *runs.estimate(s)), s.goal, s.target).select(
-        F.lit(name).alias("method"), F.lit(s.target).alias("target"), "*") for name, s in specs.items()]
+    alike: dict[SelectionSpec, list[str]] = {}
+    for name, s in specs.items():
+        alike.setdefault(s.but(target=0.5), []).append(name)
+    rows = [part for spec, names in alike.items() for part in _rates(runs, hist, spec, {n: specs[n].target for n in names})]
     return reduce(DataFrame.unionByName, rows)
 
 
+def _rates(runs: runner.Labelling, hist: DataFrame, spec: SelectionSpec, targets: dict[str, float]) -> list[DataFrame]:
+    """Failure rates of one way to select at several targets: one plan."""
+    if len(targets) == 1 or spec.bound == "clopper_pearson":
+        return [measures.failure_rate(measures.achieved(hist, *runs.estimate(spec.but(target=g))), spec.goal, g).select(
+            F.lit(name).alias("method"), F.lit(g).alias("target"), "*") for name, g in targets.items()]
+    tau, labelled, target = runs.sweep(spec, list(targets.values()))
+    m = measures.achieved(hist, tau, labelled).withColumn("target", target)
+    name = F.element_at(F.array(*[F.lit(n) for n in targets]), F.floor(F.col("trial") / runs.trials).cast("int") + 1)
+    rates = measures.failure_rate(m.withColumn("method", name), spec.goal, F.col("target"), ("method", "target"))
+    return [rates]
+
+
 def drift(fit_truth: DataFrame, truth: DataFrame, spec: SelectionSpec, trials: int, name: str) -> DataFrame:
     """(dataset, goal, target, frozen, refit, frozen_gap): what a cut fitted elsewhere achieves here, by how much it misses the target, and
     what estimating anew achieves on average.  One row always: an empty side gives null."""

@@ -8,7 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from certsel.operators import estimators, measures, runner, sampling, thresholds, trials
+from certsel.operators import callbacks, estimators, measures, runner, sampling, thresholds, trials
 from certsel.plans import sqlfront
 from certsel.plans.twins import UNIVERSE, Twin, leak_sql, synth_sql
 from certsel.sources import workloads
@@ -240,20 +240,24 @@ def _measures():
     a = t.add(t.answer(sp_))
     register("cube_metrics_by_lang_source", lambda sp, d: _cube(sp, d, p, sp_), t.done(
         f"SELECT lang, source, count(*) AS size, sum(y)::BIGINT AS hits FROM {a} a JOIN (SELECT u.key, y, lang, source FROM u JOIN documents ON key = doc_id) USING (key) GROUP BY CUBE (lang, source)"))
-    # cost: prices and rates as published; sizes are those of the table
-    rows = [("pii", "documents", 300), ("net", "lineitem", 2000), ("rare", "events", 1000), ("page", "pages", 120)]
-    one = lambda name, table, b: (f"SELECT '{name}' AS dataset, n, round(0.09 / 3600 * 3.06, 6) AS sampling, round(n / 1000.0 / 3600 * 3.06, 6) AS proxy, round({b} * 0.08, 6) AS oracle, "
-                                 f"round(n * 0.08, 6) AS exhaustive FROM (SELECT count(*) AS n FROM {table})")
-    register("cost_breakdown", lambda sp, d: _costs(sp, d, rows), " UNION ALL ".join(one(*r) for r in rows))
+    # cost: prices and rates as published; sizes are those of the workloads
+    one = lambda name, wn, b: (f"SELECT '{name}' AS dataset, n, {cost_sql('n', b)} FROM (SELECT count(*) AS n FROM ({_w(wn)[1]}))")
+    register("cost_breakdown", lambda sp, d: _costs(sp, d), " UNION ALL ".join(one(wn.replace(".0", ""), wn, _w(wn)[0].budget) for wn in EVERY_WORKLOAD))
 
 
-def _costs(spark, sf_dir, rows):
+def cost_sql(n: str, budget: int) -> str:
+    parts = f"(0.09::DOUBLE / 3600 * 3.06::DOUBLE), ({n} / 1000.0::DOUBLE / 3600 * 3.06::DOUBLE), ({budget} * 0.08::DOUBLE)"
+    a, b, c = parts.split(", ")
+    return (f"round({a}, 6) AS sampling, round({b}, 6) AS proxy, round({c}, 6) AS oracle, round({a} + {b} + {c}, 6) AS total, round({n} * 0.08::DOUBLE, 6) AS exhaustive, "
+            f"round({n} * 0.08::DOUBLE / ({a} + {b} + {c}), 4) AS gain")
+
+
+def _costs(spark, sf_dir):
     parts = []
-    for name, table, budget in rows:
-        n = spark.read.parquet(f"{sf_dir}/{table}.parquet").agg(F.count("*").alias("n"))
-        unit = measures.cost(1, budget, 1000.0)
-        parts.append(n.select(F.lit(name).alias("dataset"), "n", F.round(F.lit(unit["sampling"]), 6).alias("sampling"), F.round(F.col("n") / 1000.0 / 3600 * 3.06, 6).alias("proxy"),
-                              F.round(F.lit(unit["oracle"]), 6).alias("oracle"), F.round(F.col("n") * F.lit(0.08), 6).alias("exhaustive")))
+    for wn in EVERY_WORKLOAD:
+        w = _w(wn)[0]
+        n = w.scored(spark, sf_dir).agg(F.count("*").alias("n"))
+        parts.append(n.select(F.lit(wn.replace(".0", "")).alias("dataset"), "n", *measures.cost_columns(F.col("n"), w.budget, 1000.0)))
     return reduce(DataFrame.union, parts)
 
 
@@ -309,8 +313,8 @@ def _drift_sql(fit: str, apply: str, s: SelectionSpec, n: int, name: str) -> str
     sample = t.add(f"SELECT 0 AS trial, key, score_u, y, 1::BIGINT AS mult, 1000000::BIGINT AS r_u FROM {f}")
     tau = (t.raw_recall if s.goal == "recall" else t.raw_precision)(sample, s.target)
     none = t.add("SELECT 0 AS trial, key, score_u, y FROM u WHERE false")
-    return t.done(f"SELECT '{name}' AS dataset, '{s.goal}' AS goal, {s.target!r}::DOUBLE AS target, frozen, refit, round({s.target!r}::DOUBLE - raw, 6) AS frozen_gap FROM "
-                  f"(SELECT (SELECT {s.goal} FROM {t.achieved(tau, none)}) AS raw, round(raw, 6) AS frozen, (SELECT round(avg({s.goal}), 6) FROM {t.achieved(*t.estimate(s, n))}) AS refit)")
+    return t.done(f"SELECT '{name}' AS dataset, '{s.goal}' AS goal, {s.target!r}::DOUBLE AS target, round(raw, 6) AS frozen, refit, round({s.target!r}::DOUBLE - raw, 6) AS frozen_gap FROM "
+                  f"(SELECT (SELECT {s.goal} FROM {t.achieved(tau, none)}) AS raw, (SELECT round(avg({s.goal}), 6) FROM {t.achieved(*t.estimate(s, n))}) AS refit)")
 
 
 def _drifts():
@@ -332,6 +336,40 @@ def _drifts():
                 fo(fit(sp, d)), w.oracle(apply(sp, d)), s, 3, name), _drift_sql(fs, as_, s, 3, name))
 
 
+def _coverage():
+    """Measures and user hooks beside the experiments."""
+    for wn in ("net", "rare", "beta_2.0"):
+        w, u = _w(wn)
+        key = wn.replace(".0", "")
+        t = Twin(u)
+        for goal, base, ours in (("recall", "uniform", "weighted"), ("precision", "uniform", "twostage")):
+            a, b = _spec(w, goal=goal, method=base), _spec(w, goal=goal, method=ours)
+            t = Twin(u)
+            parts = f"({t.failure('base', a, TRIALS)}) a, ({t.failure('ours', b, TRIALS)}) b"
+            register(f"gain_factor_{goal}_{key}", lambda sp, d, w=w, a=a, b=b: measures.gain_factor(trials.compare(w.truth(sp, d), {"base": a, "ours": b}, TRIALS), "base", "ours"),
+                     t.done(f"SELECT a.target, a.quality AS base_quality, b.quality AS quality, CASE WHEN a.quality > 0 THEN round(b.quality / a.quality, 4) END AS gain FROM {parts}"))
+        t = Twin(u)
+        smp = t.weighted_cdf(w.budget)
+        register(f"calibration_weighted_{key}", lambda sp, d, w=w: measures.calibration_of_sample(_sampled(w, sampling.weighted_cdf, w.budget)(sp, d)), t.done(
+            f"SELECT CAST(least(9, floor(score_u * 10 / 1000000::DOUBLE)) AS BIGINT) AS bucket, sum(mult)::BIGINT AS draws, round(sum(mult * r_u * y)::DOUBLE / sum(mult * r_u), 6) AS rate FROM {smp} GROUP BY 1"))
+    w, u = _w("beta_2.0")
+    noise = (0.01, 0.02, 0.03, 0.04)
+    register("noise_share", lambda sp, d: measures.noise_share(w.scored(sp, d), noise), " UNION ALL ".join(
+        f"SELECT {s!r}::DOUBLE AS noise, round(100 * {s!r}::DOUBLE / stddev_pop(score_u / 1000000::DOUBLE), 4) AS percent FROM ({u})" for s in noise))
+    r, ur = _w("rare")
+    t = Twin(ur)
+    register("answer_callback_ledger", lambda sp, d: callbacks.replay(sp, d, _spec(r)), t.done(
+        f"SELECT key, score_u, true AS same_again, (SELECT count(DISTINCT key) FROM {t.estimate(_spec(r))[1]}) AS calls, 0::BIGINT AS calls_again FROM ({t.answer(_spec(r))})"))
+    register("grid_candidates", lambda sp, d: callbacks.grid(sp, 1000, 100), "SELECT CAST(i AS INTEGER) AS candidate, CAST(i * 100 AS INTEGER) AS draws FROM range(1, 11) t(i)")
+    register("stream_sliding", lambda sp, d: refit.replay_counts(sp, d, refit.sliding_counts), "SELECT strftime(start, '%Y-%m-%d') AS start, event_type, count(*) AS n FROM "
+             "(SELECT event_type, unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS start FROM events) GROUP BY 1, 2")
+    register("stream_sessions", lambda sp, d: refit.replay_counts(sp, d, refit.session_counts, "user_id"), """SELECT strftime(min(ts), '%Y-%m-%d') AS start, user_id, count(*) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS session
+ FROM (SELECT *, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id))) GROUP BY user_id, session""")
+    register("stream_running_matches", lambda sp, d: refit.replay_running(sp, d), "SELECT event_type, count(*) AS n, max(value) AS most FROM events GROUP BY event_type")
+    register("current_cut", lambda sp, d: refit.apply_current(r.scored(sp, d), sp.createDataFrame([(1, 900_000), (2, 700_000)], "fitted_at int, tau_u long")).select("key", "score_u"),
+             f"SELECT key, score_u FROM ({ur}) WHERE score_u >= 700000")
+
+
 def _surrounding():
     from certsel.operators import relational as rel
 
@@ -340,5 +378,5 @@ def _surrounding():
     register("stream_refit", lambda sp, d: refit.replay(sp, d))
 
 
-for _part in (_scores, _samples, _curves, _taus, _answers, _measures, _experiments, _drifts, _surrounding):
+for _part in (_scores, _samples, _curves, _taus, _answers, _measures, _experiments, _drifts, _coverage, _surrounding):
     _part()

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from certsel.spec import GRID
 
@@ -40,6 +41,15 @@ def read_above(spark: SparkSession, path: str, tau_u: int, score: str = "score_u
     return spark.read.parquet(path).where((F.col("score_band") >= min(BANDS - 1, tau_u * BANDS // GRID)) & (F.col(score) >= tau_u)).drop("score_band")
 
 
+def read_ledger(spark: SparkSession, path: str, key_type) -> DataFrame:
+    """(key, y) bought so far; no rows where there is no ledger yet."""
+    schema = StructType([StructField("key", key_type), StructField("y", IntegerType())])
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    if not p.getFileSystem(spark._jsc.hadoopConfiguration()).exists(p):
+        return spark.createDataFrame([], schema)
+    return spark.read.schema(schema).parquet(path)
+
+
 def save_ledger(labels: DataFrame, path: str) -> None:
     """Append bought labels (key, y); a later run reads them before it asks again."""
-    labels.select("key", "y").write.mode("append").parquet(path)
+    labels.select("key", F.coalesce("y", F.lit(0)).cast("int").alias("y")).write.mode("append").parquet(path)
