@@ -2,13 +2,14 @@
 
 The coarse centroids and the sub-space codebooks are fitted by k-means on a bounded sample (IndexSettings.sample_rows); every row is then
 indexed: its list, its residual's codes and the vector itself.  A query probes the lists of its nearest centroids, ranks their
-rows by asymmetric distance tables, and the best of them are reranked by exact distance on the original vectors.
-Index rows stay dealt as they are, so a list that holds a third of all rows is spread over all tasks.
+rows by asymmetric distance tables, and the best of them all are reranked by exact distance on the original vectors.
+The index is written in the order of its lists, a large list over several tasks; a task looks at a list with the queries that probe it.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import math
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -16,7 +17,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import staged, tidy
-from .topk import matrix, query_blocks, usable
+from .topk import by_block, matrix, usable
 
 K = 10
 SCHEMA = "vec_id long, list int, codes binary, bias double, v array<double>"
@@ -24,11 +25,15 @@ SCHEMA = "vec_id long, list int, codes binary, bias double, v array<double>"
 
 @dataclass(frozen=True)
 class IndexSettings:
+    """lists: 0 for four times the square root of the rows, as far as the sample carries that many; probes: a share of the lists."""
+
     sample_rows: int = 16_384
-    lists: int = 64
+    lists: int = 0
     sub_spaces: int = 16
     codes: int = 256
-    probes: int = 48
+    probes: float = 0.65
+    rows_per_task: int = 32_768
+    query_block: int = 1024
     rerank: int = 128
     rounds: int = 8
     seed: int = 5
@@ -52,6 +57,10 @@ def k_means(x: np.ndarray, k: int, rounds: int, rng) -> np.ndarray:
     return c
 
 
+def fitted_to(s: IndexSettings, rows: int) -> IndexSettings:
+    return replace(s, lists=s.lists or max(1, min(int(4 * math.sqrt(rows)), min(rows, s.sample_rows) // 32)))
+
+
 class Quantizer:
     """Coarse centroids and one codebook per sub-space, all for vectors of one dimension."""
 
@@ -90,6 +99,8 @@ def build(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", s:
     Vectors whose dimension is not the sample's most frequent one get list -1 and are always compared exactly.
     """
     d = usable(df, id_col, vec_col, zero=False)
+    rows = d.count()
+    s = fitted_to(s, rows)
     sample = [np.array(r.v) for r in d.orderBy(F.xxhash64("vec_id"), "vec_id").limit(s.sample_rows).collect()]
     if not sample:
         return df.sparkSession.createDataFrame([], SCHEMA), None
@@ -109,52 +120,79 @@ def build(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", s:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(lists), pa.array(codes, pa.binary()), pa.array(bias), b.column(1)],
                                              names=["vec_id", "list", "codes", "bias", "v"])
 
-    index, _ = staged(d.mapInArrow(tidy(run), SCHEMA), "ivf")
+    coded = d.mapInArrow(tidy(run), SCHEMA).repartitionByRange(max(1, math.ceil(rows / s.rows_per_task)), "list", "vec_id").sortWithinPartitions("list", "vec_id")
+    index, _ = staged(coded, "ivf")
     return index, quantizer
 
 
-def _search_block(index: DataFrame, quantizer: Quantizer, ids: np.ndarray, vectors: list, k: int, s: IndexSettings) -> DataFrame:
-    same = np.array([len(q) == quantizer.dim for q in vectors], dtype=bool)
-    q = np.array([v for v, ok in zip(vectors, same) if ok]).reshape(-1, quantizer.dim)
+FOUND = "query_id long, vec_id long, rough double, score double"
+
+
+class _Shortlists:
+    """The `size` best rows of every query by rough distance, ties to smaller ids, gathered piece by piece."""
+
+    def __init__(self, queries: int, size: int):
+        self.size, self.bar, self.rows, self.held = size, np.full(queries, np.inf), [np.zeros((4, 0))], 0
+
+    def add(self, query: np.ndarray, ids: np.ndarray, rough: np.ndarray, score: np.ndarray) -> None:
+        self.rows.append(np.stack([query.astype(np.float64), ids.view(np.float64), rough, score]))
+        self.held += len(query)
+        if self.held > 4 * self.size * len(self.bar):
+            self.prune()
+
+    def prune(self) -> tuple:
+        query, ids, rough, score = np.concatenate(self.rows, axis=1)
+        query, ids = query.astype(np.int64), np.ascontiguousarray(ids).view(np.int64)
+        order = np.lexsort((ids, rough, query))
+        query, ids, rough, score = query[order], ids[order], rough[order], score[order]
+        place = np.arange(len(query)) - np.searchsorted(query, query)
+        full = place == self.size - 1
+        self.bar[query[full]] = rough[full]
+        keep = place < self.size
+        query, ids, rough, score = query[keep], ids[keep], rough[keep], score[keep]
+        self.rows, self.held = [np.stack([query.astype(np.float64), ids.view(np.float64), rough, score])], len(query)
+        return query, ids, rough, score
+
+
+def _search_block(index: DataFrame, quantizer: Quantizer, ids: np.ndarray, vectors: list, s: IndexSettings) -> DataFrame:
+    """FOUND: of each task, every query's s.rerank best rows by distance tables, with their exact distances."""
+    same = np.flatnonzero([len(q) == quantizer.dim for q in vectors])
+    q = np.array([vectors[n] for n in same]).reshape(-1, quantizer.dim)
 
     def run(batches):
         far = _squared(q, quantizer.coarse)
         probed = np.zeros(far.shape, dtype=bool)
-        np.put_along_axis(probed, np.argsort(far, axis=1, kind="stable")[:, :s.probes], True, axis=1)
-        tables, at_part = quantizer.tables(q), np.arange(len(quantizer.parts))
-        row_of = np.cumsum(same) - 1
-        top: list = [(np.empty(0, np.int64), np.empty(0)) for _ in vectors]
+        np.put_along_axis(probed, np.argsort(far, axis=1, kind="stable")[:, :math.ceil(s.probes * len(quantizer.coarse))], True, axis=1)
+        tables, best = quantizer.tables(q), _Shortlists(len(vectors), s.rerank)
         for b in batches:
             if not b.num_rows:
                 continue
-            b = b.take(pa.array(np.argsort(b.column(0).to_numpy(), kind="stable")))
             own, lists = b.column(0).to_numpy(), b.column(1).to_numpy()
             x, at = matrix(b.column(4), quantizer.dim)
             x_ids, x_list, bias = own[at], lists[at], b.column(3).to_numpy()[at]
             codes = np.frombuffer(b"".join(b.column(2).to_pylist()), np.uint8).reshape(len(at), len(quantizer.parts))
-            odd = [(own[i], np.array(b.column(4)[int(i)].as_py())) for i in np.flatnonzero(lists == -1)]
-            for n, v in enumerate(vectors):
-                i, d = [top[n][0]], [top[n][1]]
-                if same[n] and len(at):
-                    m = row_of[n]
-                    r = np.flatnonzero(probed[m, x_list] & (x_ids != ids[n]))
-                    rough = far[m, x_list[r]] + bias[r] + tables[m][at_part, codes[r]].sum(axis=1)
-                    if len(r) > s.rerank:  # rows are in the order of ids, so equal distances keep the smaller ids
-                        bar = np.partition(rough, s.rerank - 1)[s.rerank - 1]
-                        under, level = np.flatnonzero(rough < bar), np.flatnonzero(rough == bar)
-                        r = r[np.concatenate([under, level[:s.rerank - len(under)]])]
-                    i.append(x_ids[r])
-                    d.append(np.sqrt(((x[r] - v) ** 2).sum(axis=1)))
-                extra = [(j, float(np.sqrt(((p - v) ** 2).sum()))) for j, p in odd if len(p) == len(v) and j != ids[n]]
-                i.append(np.array([e[0] for e in extra], np.int64))
-                d.append(np.array([e[1] for e in extra]))
-                i, d = np.concatenate(i), np.concatenate(d)
-                best = np.lexsort((i, d))[:k]
-                top[n] = i[best], d[best]
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, [len(t[0]) for t in top])), pa.array(np.concatenate([t[0] for t in top])),
-                                          pa.array(np.concatenate([t[1] for t in top]))], names=["query_id", "vec_id", "score"])
-
-    return index.select("vec_id", "list", "codes", "bias", "v").mapInArrow(tidy(run), "query_id long, vec_id long, score double")
+            for one in np.unique(x_list):
+                m, of_list = np.flatnonzero(probed[:, one]), np.flatnonzero(x_list == one)
+                for r in (of_list[k:k + 1024] for k in range(0, len(of_list), 1024) if len(m)):
+                    rough = far[m, one][:, None] + bias[r]
+                    for k in range(len(quantizer.parts)):
+                        rough += tables[m, k][:, codes[r, k]]
+                    good = (rough <= best.bar[same[m]][:, None]) & (x_ids[r] != ids[same[m]][:, None])
+                    if len(r) > s.rerank:
+                        rough[~good] = np.inf
+                        order = np.argsort(rough, axis=1, kind="stable")[:, s.rerank:]
+                        np.put_along_axis(good, order, False, axis=1)
+                    i, j = np.nonzero(good)
+                    best.add(same[m[i]], x_ids[r[j]], rough[i, j], np.sqrt(((x[r[j]] - q[m[i]]) ** 2).sum(axis=1)))
+            for i in np.flatnonzero(lists == -1):  # of other dimensions: compared exactly
+                p = np.array(b.column(4)[int(i)].as_py())
+                n = np.array([n for n, v in enumerate(vectors) if len(v) == len(p) and ids[n] != own[i]], dtype=np.int64)
+                d = np.array([float(np.sqrt(((p - vectors[k]) ** 2).sum())) for k in n])
+                best.add(n, np.full(len(n), own[i]), d * d, d)
+        query, found, rough, score = best.prune()
+        yield pa.RecordBatch.from_arrays([pa.array(ids[query]), pa.array(found), pa.array(rough), pa.array(score)], names=[c.split()[0] for c in FOUND.split(", ")])
+
+    return index.select("vec_id", "list", "codes", "bias", "v").mapInArrow(tidy(run), FOUND)
 
 
 def nearest(df: DataFrame, every: int = 100, k: int = K, id_col: str = "vec_id", vec_col: str = "embedding", s: IndexSettings = IndexSettings()) -> DataFrame:
@@ -167,10 +205,10 @@ def nearest(df: DataFrame, every: int = 100, k: int = K, id_col: str = "vec_id",
     index, quantizer = build(df, id_col, vec_col, s)
     found = None
     if quantizer is not None:
-        for ids, vectors in query_blocks(index.where(F.col("vec_id") % every == 0).select("vec_id", "v").distinct(), 1024):
-            one = _search_block(index, quantizer, ids, vectors, k, s)
-            found = one if found is None else found.union(one)
+        queries = index.where(F.col("vec_id") % every == 0).select("vec_id", "v").distinct()
+        found = by_block(queries, s.query_block, lambda ids, vectors: _search_block(index, quantizer, ids, vectors, s))
     if found is None:
         return df.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    w = Window.partitionBy("query_id").orderBy("score", "vec_id")
-    return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    rough, exact = (Window.partitionBy("query_id").orderBy(c, "vec_id") for c in ("rough", "score"))
+    short = found.withColumn("place", F.row_number().over(rough)).where(F.col("place") <= s.rerank)
+    return short.withColumn("rank", F.row_number().over(exact)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -1,6 +1,6 @@
 """Exact top-k inner products by norm buckets, and the shared handling of vectors and query blocks.
 
-Candidates are dealt by length, so a partition is a bucket of nearly equal lengths.  A query enters a bucket with the score it
+Candidates are written once in the order of their lengths; a bucket is BUCKET_ROWS rows of nearly equal length.  A query enters a bucket with the score it
 has to reach: the k-th best among the longest vectors, then the k-th best so far.  If even the bucket's longest vector
 cannot reach it, the bucket is skipped.  Otherwise that score over both lengths is the cosine a candidate needs: where
 it is high, only vectors whose value in the query's largest coordinate can give this cosine are taken; where it is low,
@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import tidy
+from .common import discard, staged, tidy
 
 K = 5
 SCALE = 256.0
@@ -37,7 +37,7 @@ def usable(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", ze
 
 
 def query_blocks(queries: DataFrame, block: int = QUERY_BLOCK):
-    """Yield (ids, list of vectors) in blocks of about `block` rows: a stated query set, met by all rows block by block."""
+    """Yield (ids, list of vectors) in blocks of about `block` rows of a written table: a stated query set, met by all rows block by block."""
     n = queries.count()
     parts = max(1, math.ceil(n / block))
     for b in range(parts):
@@ -47,6 +47,43 @@ def query_blocks(queries: DataFrame, block: int = QUERY_BLOCK):
             yield np.array([r.vec_id for r in rows], dtype=np.int64), [np.array(r.v) for r in rows]
 
 
+def by_block(queries: DataFrame, block: int, search) -> DataFrame | None:
+    """search(ids, vectors) of every block, one after another; None without queries.
+
+    Each block's result is written before the next one is fetched, so the driver holds one block at a time and no plan grows
+    with the number of queries.
+    """
+    queries, path = staged(queries, "queries")
+    paths, schema, waiting = [], None, None
+    for ids, vectors in query_blocks(queries, block):
+        if waiting is not None:
+            _, done = staged(waiting, "block")
+            paths.append(done)
+        waiting = search(ids, vectors)
+        schema = waiting.schema
+    discard(queries.sparkSession, path)
+    if not paths:
+        return waiting
+    _, done = staged(waiting, "block")
+    return queries.sparkSession.read.schema(schema).parquet(*paths, done)
+
+
+def in_buckets(batches, rows: int):
+    """Record batches of `rows` rows (the last of fewer), however the given ones are cut."""
+    held, count = [], 0
+    for b in batches:
+        while b.num_rows:
+            part = b.slice(0, rows - count)
+            held.append(part)
+            count += part.num_rows
+            b = b.slice(part.num_rows)
+            if count == rows:
+                yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+                held, count = [], 0
+    if count:
+        yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+
+
 def matrix(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
     """Rows of a list column that have `dim` values, and their numbers."""
     sizes = np.asarray(column.value_lengths())
@@ -112,9 +149,7 @@ def _block_top(candidates: DataFrame, ids: np.ndarray, vectors: list, seeds: dic
     def run(batches):
         top: list = [(np.empty(0, np.int64), np.empty(0)) for _ in vectors]
         bar = list(bars)
-        for b in batches:
-            if not b.num_rows:
-                continue
+        for b in in_buckets(batches, BUCKET_ROWS):
             own = b.column(0).to_numpy()
             for dim in {len(q) for q in vectors}:
                 v, at = matrix(b.column(1), dim)
@@ -155,11 +190,9 @@ def top_products(df: DataFrame, every: int = 50, k: int = K, id_col: str = "vec_
     seed_ids, seed_v = [r.vec_id for r in longest], [np.array(r.v) for r in longest]
     by_dim = {n: (np.array([i for i, p in zip(seed_ids, seed_v) if len(p) == n]), np.array([p for p in seed_v if len(p) == n])) for n in {len(p) for p in seed_v}}
     parts = max(1, math.ceil(d.count() / BUCKET_ROWS))
-    candidates = d.repartitionByRange(parts, F.desc("length"), F.col("vec_id")).select("vec_id", "v")
-    found = None
-    for ids, vectors in query_blocks(d.where(F.col("vec_id") % every == 0).select("vec_id", "v").distinct()):
-        one = _block_top(candidates, ids, vectors, by_dim, k)
-        found = one if found is None else found.union(one)
+    candidates, _ = staged(d.repartitionByRange(parts, F.desc("length"), F.col("vec_id")).sortWithinPartitions(F.desc("length"), "vec_id").select("vec_id", "v"), "by-length")
+    found = by_block(d.where(F.col("vec_id") % every == 0).select("vec_id", "v").distinct(), QUERY_BLOCK,
+                     lambda ids, vectors: _block_top(candidates, ids, vectors, by_dim, k))
     if found is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
