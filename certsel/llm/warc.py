@@ -8,6 +8,7 @@ bytes, so a sink can write them one after another.
 from __future__ import annotations
 
 import base64
+import contextlib
 import gzip
 import hashlib
 import html as entities
@@ -27,6 +28,7 @@ _TAG = re.compile(r"<!--|<([a-zA-Z/!?][^\s>/]*)", re.S)
 _LINK = re.compile(r"""\b(?:href|src)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
 # Elements that end a line of text, and those whose content is no text.
 BLOCKS = frozenset("p div br li ul ol tr table h1 h2 h3 h4 h5 h6 article section nav header footer title pre blockquote hr td th".split())
+_LOWER = {k: k + 32 for k in range(65, 91)}
 SILENT = ("script", "style", "noscript", "template")
 DERIVED = ("page_id long, record_type string, record_id string, refers_to string, target_uri string, block_digest string, "
            "source_block_digest string, source_payload_digest string, block_length long, record binary")
@@ -46,22 +48,68 @@ def record(kind: str, record_id: str, headers: list[tuple[str, str]], block: byt
     return b"WARC/1.0\r\n" + "".join(clean).encode("utf-8", "replace") + b"\r\n" + block + b"\r\n\r\n"
 
 
-def parse(data: bytes):
-    """Yield (headers, block) of the records in data, which may be gzipped as a whole or record by record."""
-    at = 0
-    if data[:2] == b"\x1f\x8b":
-        out, rest = [], data
-        while rest[:2] == b"\x1f\x8b":
-            z = zlib.decompressobj(31)
-            out.append(z.decompress(rest) + z.flush())
-            rest = z.unused_data
-        data = b"".join(out)
-    while (at := data.find(b"WARC/", at)) >= 0:
-        end = data.index(b"\r\n\r\n", at)
+def _unzipped(data: bytes) -> bytes:
+    """data without its gzip members, as far as they can be read."""
+    out = []
+    while data[:2] == b"\x1f\x8b":
+        z = zlib.decompressobj(31)
+        try:
+            out.append(z.decompress(data))
+        except zlib.error:
+            break
+        data = z.unused_data
+    return b"".join(out)
+
+
+def records(data: bytes):
+    """Yield (headers, block, error) of the records in data, which may be gzipped as a whole or record by record.
+
+    A record without an end of headers, a length or an id, or that is cut short, has an error in place of its block; reading goes
+    on at the next record's first line.
+    """
+    data = _unzipped(data) if data[:2] == b"\x1f\x8b" else data
+    at = data.find(b"WARC/")
+    while at >= 0:
+        end = data.find(b"\r\n\r\n", at)
+        if end < 0:
+            yield {}, None, "no end of headers"
+            return
         headers = {k.strip(): v.strip() for k, _, v in (x.partition(":") for x in data[at:end].decode("utf-8", "replace").split("\r\n")[1:])}
-        size = int(headers["Content-Length"])
-        yield headers, data[end + 4:end + 4 + size]
-        at = end + 4 + size
+        length = headers.get("Content-Length", "")
+        size = int(length) if length.isascii() and length.isdigit() else -1
+        error = "no length" if size < 0 else "no record id" if not headers.get("WARC-Record-ID") else "cut short" if end + 4 + size > len(data) else None
+        yield headers, None if error else data[end + 4:end + 4 + size], error
+        at = data.find(b"WARC/", end + 4 + size if error in (None, "no record id") else end + 4)
+
+
+def parse(data: bytes):
+    """Yield (headers, block) of the whole records in data."""
+    return ((headers, block) for headers, block, error in records(data) if error is None)
+
+
+def payload(head: bytes, body: bytes) -> str:
+    """The text of an HTTP response: chunks joined, compression undone and bytes decoded, each as far as the headers tell and the data allow."""
+    fields = {k.strip().lower(): v.strip() for k, _, v in (x.partition(":") for x in head.decode("latin-1").split("\r\n")[1:])}
+    if fields.get("transfer-encoding", "").lower().endswith("chunked"):
+        parts, at = [], 0
+        while (end := body.find(b"\r\n", at)) >= 0:
+            size = body[at:end].partition(b";")[0].strip()
+            if not re.fullmatch(rb"[0-9A-Fa-f]{1,8}", size) or not int(size, 16):
+                break
+            parts.append(body[end + 2:end + 2 + int(size, 16)])
+            at = end + 4 + int(size, 16)
+        body = b"".join(parts) if parts else body
+    coding = fields.get("content-encoding", "").lower()
+    if coding in ("gzip", "x-gzip", "deflate"):
+        for bits in (47, -15):  # with a header of either kind, or bare
+            with contextlib.suppress(zlib.error):
+                body = zlib.decompressobj(bits).decompress(body)
+                break
+    charset = re.search(r"charset\s*=\s*[\"']?([\w.:-]+)", fields.get("content-type", ""), re.I)
+    try:
+        return body.decode(charset[1] if charset else "utf-8", "replace")
+    except LookupError:
+        return body.decode("utf-8", "replace")
 
 
 def http_block(html: str) -> bytes:
@@ -77,7 +125,7 @@ def response(page_id, url: str, html: str) -> bytes:
 
 def text_and_links(page: str) -> tuple[str, str, list[str]]:
     """(title, text, links).  One pass from tag to tag: comments and silent elements are skipped to their end, or to the end of the page."""
-    low, at, out, links, title = page.lower(), 0, [], [], None
+    low, at, out, links, title = page.translate(_LOWER), 0, [], [], None  # positions stay as they are
     while m := _TAG.search(page, at):
         out.append(page[at:m.start()])
         name = (m[1] or "").lower()
@@ -108,7 +156,7 @@ def text_and_links(page: str) -> tuple[str, str, list[str]]:
 def derive(headers: dict, block: bytes) -> list[tuple]:
     """Of one response: (record_type, record_id, refers_to, target_uri, block digest, source digests, length, record)."""
     head, _, body = block.partition(b"\r\n\r\n")
-    page = body.decode("utf-8", "replace")
+    page = payload(head, body)
     title, text, links = text_and_links(page)
     rid, uri, date = headers.get("WARC-Record-ID", ""), headers.get("WARC-Target-URI", ""), headers.get("WARC-Date", DATE)
     source = headers.get("WARC-Block-Digest") or sha1(block), headers.get("WARC-Payload-Digest") or sha1(body)
@@ -147,30 +195,38 @@ def derivatives(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
     return d.mapInArrow(tidy(run), DERIVED)
 
 
+RESPONSES = "record_id string, target_uri string, date string, headers map<string,string>, block binary, error string"
+
+
 def read_responses(spark: SparkSession, path: str) -> DataFrame:
-    """(record_id, target_uri, date, headers map, block) of the response records in WARC files, gzipped or not."""
+    """The response records in WARC files, gzipped or not, in the schema RESPONSES.
+
+    Records that cannot be read, of whatever type, come with an error and no block, so that they can be counted.  A folder without
+    files gives no rows.
+    """
 
     def run(batches):
+        kinds = pa.string(), pa.string(), pa.string(), pa.map_(pa.string(), pa.string()), pa.binary(), pa.string()
         for b in batches:
             for data in b.column(0):
-                rows = [(h["WARC-Record-ID"], h.get("WARC-Target-URI"), h.get("WARC-Date"), list(h.items()), block) for h, block in parse(data.as_py()) if h.get("WARC-Type") == "response"]
-                cols = list(zip(*rows)) if rows else [[]] * 5
-                kinds = pa.string(), pa.string(), pa.string(), pa.map_(pa.string(), pa.string()), pa.binary()
-                yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(cols, kinds)], names=["record_id", "target_uri", "date", "headers", "block"])
+                rows = [(h.get("WARC-Record-ID"), h.get("WARC-Target-URI"), h.get("WARC-Date"), list(h.items()), block, error)
+                        for h, block, error in records(data.as_py()) if error or h.get("WARC-Type") == "response"]
+                yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(zip(*rows) if rows else [[]] * len(kinds), kinds)],
+                                                 names=["record_id", "target_uri", "date", "headers", "block", "error"])
 
-    files = spark.read.format("binaryFile").load(path).select("content")
-    return files.mapInArrow(tidy(run), "record_id string, target_uri string, date string, headers map<string,string>, block binary")
+    files = spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path).select("content")
+    return files.mapInArrow(tidy(run), RESPONSES)
 
 
 def convert(responses: DataFrame) -> DataFrame:
-    """Derivatives of rows of read_responses; page_id is null."""
+    """Derivatives of rows of read_responses that have no error; page_id is null."""
 
     def run(batches):
         for b in batches:
             rows = [(None, *r) for h, block in zip(b.column(0).to_pylist(), b.column(1).to_pylist()) for r in derive(dict(h or []), block or b"")]
             yield _derived(rows, DERIVED)
 
-    return responses.select("headers", "block").mapInArrow(tidy(run), DERIVED)
+    return responses.where("error is null").select("headers", "block").mapInArrow(tidy(run), DERIVED)
 
 
 def gzipped(data: bytes) -> bytes:
