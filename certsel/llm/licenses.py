@@ -104,6 +104,26 @@ def scan(docs: DataFrame, known: DataFrame | None = None, id_col: str = "doc_id"
     return d.join(known, "digest", "left").select("doc_id", "digest", "license_id")
 
 
+def passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, line, license_id): the known texts that are a line of a document by themselves, lines counted from 0.
+
+    Null texts have no lines; repeated rows give equal rows.  The digests are few, and only lines that are one of them are returned.
+    """
+    known = known_digests(docs.sparkSession)
+    d = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.posexplode(F.split(F.col(text_col).cast("string"), "\n")).alias("line", "part")).where(F.length("part") >= 16)
+    d = d.withColumn("digest", F.sha2(canonical(F.col("part")), 256))
+    return d.join(F.broadcast(known), "digest").select("doc_id", F.col("line").cast("long").alias("line"), "license_id")
+
+
+def passages_sql() -> str:
+    """passages() in DuckDB SQL."""
+    whole = sql()
+    head, _, _ = whole.partition("\nSELECT doc_id")
+    head = head.replace("SELECT doc_id, sha256", "SELECT doc_id, line, sha256").replace(
+        "FROM documents)", "FROM (SELECT doc_id, unnest(range(len(p))) AS line, unnest(p) AS text FROM (SELECT doc_id, string_split(text, chr(10)) AS p FROM documents)) WHERE length(text) >= 16)")
+    return head + "\nSELECT doc_id, line, license_id FROM d JOIN k USING (digest)"
+
+
 def sql() -> str:
     """The scan in DuckDB SQL, which has no look-ahead: it still cuts every line that starts with 'copyright'."""
     q = lambda x: "'" + x.replace("'", "''") + "'"

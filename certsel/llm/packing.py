@@ -14,6 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import tidy
 from .tokens import TokenIds
@@ -132,6 +133,30 @@ def pack_examples(df: DataFrame, id_col: str, tokens_col: str, loss_col: str, li
         tidy(run), f"id {id_type}, sequence_id long, segment long, offset long, tokens long, loss_tokens long")
 
 
+def token_counts(df: DataFrame, tokenizer_path: str, text_col: str = "text") -> DataFrame:
+    """df with n_tokens, the number of ids of its text; null texts have none.  All other columns pass through."""
+    names = [c for c in df.columns if c != "n_tokens"]
+
+    def run(batches):
+        ids = TokenIds(tokenizer_path)
+        for b in batches:
+            n = [len(ids.encode(t or "")) // 4 for t in b.column(names.index(text_col)).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(n, pa.int64())], names=[*names, "n_tokens"])
+
+    d = df.select(*names)
+    return d.mapInArrow(tidy(run), T.StructType([*d.schema.fields, T.StructField("n_tokens", T.LongType())]))
+
+
+def pack_conversations(turns: DataFrame, tokenizer_path: str, limits: Limits | None = None) -> DataFrame:
+    """Conversations as examples for pack_examples: all turns' tokens, of which the assistant's bear loss.
+
+    Turns with a null conv_id are one conversation.  A conversation over a limit comes back with a null sequence_id.
+    """
+    t = token_counts(turns.select("conv_id", "role", "text"), tokenizer_path)
+    loss = F.when(F.col("role") == "assistant", F.col("n_tokens")).otherwise(0)
+    return pack_examples(t.groupBy("conv_id").agg(F.sum("n_tokens").alias("tokens"), F.sum(loss).alias("loss")), "conv_id", "tokens", "loss", limits or Limits(tokens=4096, segments=8, loss_tokens=1024))
+
+
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, segment long"
 
 

@@ -118,9 +118,13 @@ def _spans(kind: str, text: Column) -> Column:
                                                F.concat(a["out"], F.array(F.struct(x["m"].alias("m"), (a["at"] + F.length(x["p"])).alias("s")))).alias("out")),
                          lambda a: a["out"])
     kept = _accounts(walked, text) if kind == "iban" else F.filter(walked, lambda x: _confirmed(kind, x["m"]))
-    near = lambda x: F.lower(F.substring(text, F.greatest(F.lit(1), x["s"] + 1 - CONTEXT_CHARS), F.length(x["m"]) + 2 * CONTEXT_CHARS))
-    score = lambda x: F.least(F.lit(1.0), F.lit(k.prior) + F.when(near(x).rlike(f"(?:{k.words})"), 0.3).otherwise(0.0)
-                              - F.when(near(x).rlike("example|sample|version|test"), 0.2).otherwise(0.0))
+    # The characters before and after the span, without it: what it is made of says nothing about it.
+    ahead = lambda x: F.substring(text, F.greatest(F.lit(1), x["s"] + 1 - CONTEXT_CHARS), F.least(x["s"], F.lit(CONTEXT_CHARS)))
+    behind = lambda x: F.substring(text, x["s"] + 1 + F.length(x["m"]), F.lit(CONTEXT_CHARS))
+    near = lambda x: F.lower(F.concat(ahead(x), F.lit(" | "), behind(x)))
+    words = lambda w: rf"(?<![a-z0-9])(?:{w})(?![a-z0-9])"
+    score = lambda x: F.least(F.lit(1.0), F.lit(k.prior) + F.when(near(x).rlike(words(k.words)), 0.3).otherwise(0.0)
+                              - F.when(near(x).rlike(words("example|sample|version|test")), 0.2).otherwise(0.0))
     spans = F.transform(kept, lambda x: F.struct(F.lit(kind).alias("kind"), x["s"].alias("start"), (x["s"] + F.length(x["m"])).alias("end"), score(x).alias("score")))
     hint = F.contains(text, F.lit(k.hint)) if k.hint else text.rlike("[0-9]")
     return F.when(hint, spans).otherwise(F.expr("cast(array() as array<struct<kind:string,start:int,end:int,score:double>>)"))

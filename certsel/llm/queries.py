@@ -57,6 +57,16 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.derivatives(table(spark, sf_dir, "pages"))
 
 
+def license_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Known licence texts that are a line of a document."""
+    return licenses.passages(table(spark, sf_dir, "documents"))
+
+
+def packed_conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The dealt case of packing: whole examples under three limits that each decide."""
+    return packing.pack_conversations(table(spark, sf_dir, "conversations"), tokenizer_path())
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -64,5 +74,5 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_packing, op2_simhash, op3_top_products, op4_mixing, op5_pii, op6_licenses, op7_nearest, op8_lines,
-                                   op9_language, op10_warc, pipeline)}
-SQL: dict[str, str] = {"op3_top_products": topk.SQL, "op4_mixing": mixing.SQL, "op6_licenses": licenses.sql()}
+                                   op9_language, op10_warc, license_passages, packed_conversations, pipeline)}
+SQL: dict[str, str] = {"op3_top_products": topk.SQL, "op4_mixing": mixing.SQL, "op6_licenses": licenses.sql(), "license_passages": licenses.passages_sql()}

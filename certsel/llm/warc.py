@@ -28,8 +28,9 @@ _TAG = re.compile(r"<!--|<([a-zA-Z/!?][^\s>/]*)", re.S)
 _LINK = re.compile(r"""\b(?:href|src)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
 # Elements that end a line of text, and those whose content is no text.
 BLOCKS = frozenset("p div br li ul ol tr table h1 h2 h3 h4 h5 h6 article section nav header footer title pre blockquote hr td th".split())
-_LOWER = {k: k + 32 for k in range(65, 91)}
 SILENT = ("script", "style", "noscript", "template")
+#: Of ASCII letters alone, in the page as it is: lower-casing it would move positions.
+_CLOSING = {name: re.compile(f"</{name}", re.I | re.A) for name in (*SILENT, "title")}
 DERIVED = ("page_id long, record_type string, record_id string, refers_to string, target_uri string, block_digest string, "
            "source_block_digest string, source_payload_digest string, block_length long, record binary")
 
@@ -125,7 +126,7 @@ def response(page_id, url: str, html: str) -> bytes:
 
 def text_and_links(page: str) -> tuple[str, str, list[str]]:
     """(title, text, links).  One pass from tag to tag: comments and silent elements are skipped to their end, or to the end of the page."""
-    low, at, out, links, title = page.translate(_LOWER), 0, [], [], None  # positions stay as they are
+    at, out, links, title = 0, [], [], None
     while m := _TAG.search(page, at):
         out.append(page[at:m.start()])
         name = (m[1] or "").lower()
@@ -137,14 +138,14 @@ def text_and_links(page: str) -> tuple[str, str, list[str]]:
         end = len(page) if end < 0 else end
         bare = name.lstrip("/")
         if name in SILENT:
-            close = low.find(f"</{name}", end)
-            at = len(page) if close < 0 else close
+            close = _CLOSING[name].search(page, end)
+            at = close.start() if close else len(page)
             continue
         if name in ("a", "img", "link", "iframe") and (found := _LINK.search(page, m.end(), end)):
             links.append(entities.unescape(found[1] or found[2] or found[3] or ""))
         if name == "title" and title is None:
-            close = low.find("</title", end)
-            title = " ".join(entities.unescape(page[end + 1:len(page) if close < 0 else close]).split())
+            close = _CLOSING[name].search(page, end)
+            title = " ".join(entities.unescape(page[end + 1:close.start() if close else len(page)]).split())
         if bare in BLOCKS:
             out.append("\n")
         at = min(end + 1, len(page))
