@@ -22,6 +22,8 @@ INSULT = "|".join(INSULTS)
 WORD = r"[^\x20\x09-\x0D]+"
 VISIBLE_CUT = r"<[^>]*>"
 NET_CUT = 105000.0
+#: Passages that are sent to all tasks: up to so many characters.
+BROADCAST_CHARS = 64_000_000
 
 
 @dataclass(frozen=True)
@@ -103,7 +105,8 @@ def leak(spark, sf_dir, words: int = 3):
 
 def _leak_oracle(sf: DataFrame, bench: DataFrame) -> DataFrame:
     """Nested loop over the given rows: whether the text contains any passage."""
-    hits = sf.select("key", "text").join(F.broadcast(bench), F.contains(F.col("text"), F.col("passage")), "left_semi").select("key", F.lit(1).alias("hit"))
+    size = bench.agg(F.sum(F.length("passage"))).first()[0] or 0
+    hits = sf.select("key", "text").join(F.broadcast(bench) if size <= BROADCAST_CHARS else bench, F.contains(F.col("text"), F.col("passage")), "left_semi").select("key", F.lit(1).alias("hit"))
     return sf.join(hits, "key", "left").withColumn("y", F.coalesce("hit", F.lit(0))).drop("hit")
 
 
@@ -166,15 +169,15 @@ def synthetic(alpha: float, beta: float, seed: int = 0, noise: float = 0.0):
 
 
 def _make_leak(words: int = 3) -> Workload:
-    """The oracle needs the benchmark table beside the sample, so the folder is kept from the scoring pass."""
-    seen: dict = {}
+    """The oracle needs the benchmark table that lies beside the documents it is given."""
 
     def base(spark, sf_dir):
-        seen["dir"] = sf_dir
         return leak(spark, sf_dir, words)
 
     def oracle(df):
-        bench = load(df.sparkSession, seen["dir"], "benchmark").where("text is not null and text <> ''").select(F.col("text").alias("passage")).distinct()
+        mark = "/documents.parquet"
+        (folder,) = {f[:f.index(mark)] for f in df.inputFiles() if mark in f}
+        bench = load(df.sparkSession, folder, "benchmark").where("text is not null and text <> ''").select(F.col("text").alias("passage")).distinct()
         return _leak_oracle(df, bench)
 
     return Workload("leak", "doc_id", base, oracle, 300, 25)
