@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from certsel.functions import bounds, synth
 from certsel.functions.draws import uniform
-from certsel.operators import measures, runner, sampling, trials
+from certsel.operators import callbacks, measures, runner, sampling, trials
 from certsel.plans import sqlfront
 from certsel.sources import tables, workloads
 from certsel.spec import NOTHING, SelectionSpec
@@ -196,3 +196,43 @@ def test_hash_draws_match_duckdb(spark):
     got = [r.u for r in spark.range(500).select(uniform(F.col("id"), 7, "x").alias("u")).collect()]
     want = [r[0] for r in duckdb.sql("SELECT (('0x' || substr(md5(i::VARCHAR || ':7:x'), 1, 13))::BIGINT + 0.5::DOUBLE) / 4503599627370496::DOUBLE FROM range(500) t(i) ORDER BY i").fetchall()]
     assert got == want and all(0 < u < 1 for u in got)
+
+
+def test_forty_trials_of_scores_that_tell_nothing(spark, sf):
+    """At most 6 of 40 failures (upper 99% limit at delta .05), whatever the score."""
+    u = universe(spark, 2000)
+    w = workloads.ALL["vec"]
+    cases = {"flat": (u.withColumn("score_u", F.lit(500_000).cast("long")), 300), "zero": (u.withColumn("score_u", F.lit(0).cast("long")), 300),
+             "inverted": (u.withColumn("score_u", 1_000_000 - F.col("score_u")), 300), "vec": (w.truth(spark, sf), 200)}
+    for name, (case, budget) in cases.items():
+        r = trials.compare(case, {"r": SelectionSpec(budget=budget), "p": SelectionSpec(goal="precision", method="twostage", budget=budget)}, 40).collect()
+        assert all(x.n_failed <= 6 for x in r), (name, r)
+
+
+def test_small_universes_are_labelled_whole_and_flags_show(spark):
+    u = universe(spark, 100)
+    got = runner.run(u, SAME, SelectionSpec(budget=300))
+    assert {r.key for r in got.rows.collect()} == {r.key for r in u.where("y = 1").collect()}
+    few = u.withColumn("y", F.when(F.col("key") < 3, 1).otherwise(0))
+    got = runner.run(few, SAME, SelectionSpec(budget=99, method="uniform", overflow="sample_min"))
+    assert got.cut.first().flag in ("few_matches", "no_match")
+
+
+def test_oracle_is_asked_once_for_a_key(spark, tmp_path):
+    asked = []
+    ledger = callbacks.Ledger(spark, str(tmp_path / "ledger"))
+
+    def oracle(df):
+        asked.append(df.count())
+        return df
+
+    label = ledger.metered(oracle)
+    u = universe(spark, 50)
+    assert label(u.where("key < 30")).count() == 30 and label(u).count() == 50
+    assert asked == [30, 20] and ledger.calls == 50
+
+
+def test_drift_of_an_empty_side(spark):
+    u = universe(spark, 300, 0.5)
+    r = trials.drift(u.limit(0), u, SelectionSpec(budget=150, step=15), 2, "empty")
+    assert r.count() == 1 and r.first().refit is not None
