@@ -10,7 +10,7 @@ import math
 
 from certsel.operators.sampling import POISSON_TERMS
 from certsel.operators.thresholds import poisson_one, replicates_for
-from certsel.sources.workloads import EMAIL, EXEMPLARS, INSULT, NET_CUT, VISIBLE_CUT, WORD
+from certsel.sources.workloads import EMAIL, EXEMPLARS, INSULT, INSULT_PART, NET_CUT, VISIBLE_CUT, WORD
 from certsel.spec import NOTHING, SelectionSpec, tail
 
 
@@ -86,7 +86,7 @@ UNIVERSE: dict[str, str] = {
     "tox": f"SELECT doc_id AS key, {_quantised(_hits('text', INSULT) + ' / 3.0::DOUBLE')} AS score_u, {_bit('toxic = 1')} AS y FROM {_LABELLED}",
     "junk": f"SELECT doc_id AS key, {_quantised(_hits('text', '[^A-Za-zÀ-ÿ]') + '::DOUBLE / greatest(length(text), 1)')} AS score_u, {_bit('quality = 0')} AS y FROM {_LABELLED}",
     "junk_ascii": f"SELECT doc_id AS key, {_quantised(_hits('text', '[^A-Za-z]') + '::DOUBLE / greatest(length(text), 1)')} AS score_u, {_bit('quality = 0')} AS y, lang FROM {_LABELLED}",
-    "audit": f"SELECT doc_id AS key, {_quantised(_hits('substr(text, 1, 800)', INSULT) + ' / 2.0')} AS score_u, {_bit(f'''regexp_matches(text, '{INSULT}')''')} AS y FROM {_DOCS} WHERE doc_id NOT IN (SELECT doc_id FROM labels WHERE doc_id IS NOT NULL)",
+    "audit": f"SELECT doc_id AS key, {_quantised(_hits('text', INSULT_PART) + ' / 2.0')} AS score_u, {_bit(f'''regexp_matches(text, '{INSULT}')''')} AS y FROM {_DOCS} WHERE doc_id NOT IN (SELECT doc_id FROM labels WHERE doc_id IS NOT NULL)",
     "leak": leak_sql(),
     "rare": f"SELECT event_id AS key, {_quantised('value / 300')} AS score_u, {_bit('''event_type = 'purchase' AND value > 200''')} AS y FROM events",
     "net": f"SELECT {LINE_KEY} AS key, {_quantised(f'l_extendedprice / {NET_CUT}::DOUBLE')} AS score_u, {_bit(f'l_extendedprice * (1 - l_discount) * (1 + l_tax) > {NET_CUT}')} AS y, year(l_shipdate) AS part FROM lineitem",

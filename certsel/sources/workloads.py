@@ -19,6 +19,8 @@ from certsel.sources.tables import load
 EMAIL = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"
 INSULTS = ("clown", "disgusting", "idiot", "loser", "moron", "pathetic", "scum", "stupid", "trash", "worthless")
 INSULT = "|".join(INSULTS)
+#: What the cheap proxy of the audit looks for: a part of the words that the oracle knows.
+INSULT_PART = "|".join(INSULTS[:6])
 WORD = r"[^\x20\x09-\x0D]+"
 VISIBLE_CUT = r"<[^>]*>"
 NET_CUT = 105000.0
@@ -84,7 +86,7 @@ def junk_ascii(spark, sf_dir):
 
 def audit(spark, sf_dir):
     d = _documents(spark, sf_dir).join(load(spark, sf_dir, "labels"), "doc_id", "left_anti")
-    return _scored(d.withColumn("head", F.substring("text", 1, 800)), F.col("doc_id"), _count("head", INSULT) / F.lit(2), "text")
+    return _scored(d, F.col("doc_id"), _count("text", INSULT_PART) / F.lit(2), "text")
 
 
 def _shingles(df: DataFrame, n: int) -> DataFrame:
