@@ -33,7 +33,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("language ID", language), ("line dedup", line_dedup), ("SimHash near-dedup", near_dedup), ("mixing", mix), ("packing", pack)]
 
-#: SQL cannot express a trained network, MinHash or tokenizers; tests/llm compare the stages with brute force.
+#: SQL cannot express a trained network, MinHash or tokenizers; tests/llm compare the operators with brute force and check what each stage keeps.
 ORACLE_SQL = None
 
 
