@@ -3,6 +3,8 @@
 The coarse centroids and the sub-space codebooks are fitted by k-means on a bounded sample (IndexSettings.sample_rows); every row is then
 indexed: its list, its residual's codes and the vector itself.  A query probes the lists of its nearest centroids, ranks their
 rows by asymmetric distance tables, and the best of them all are reranked by exact distance on the original vectors.
+The k-th best of these is a radius that holds the true k nearest.  A second look at the index with it skips lists by their
+farthest row and rows by the error of their codes (triangle inequality), and verifies the rest, so the answer is exact.
 The index is written in the order of its lists, a large list over several tasks; a task looks at a list with the queries that probe it.
 """
 
@@ -16,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import staged, tidy
+from .common import discard, staged, tidy
 from .topk import by_block, matrix, usable
 
 K = 10
@@ -31,7 +33,7 @@ class IndexSettings:
     lists: int = 0
     sub_spaces: int = 16
     codes: int = 256
-    probes: float = 0.65
+    probes: float = 0.25
     rows_per_task: int = 32_768
     query_block: int = 1024
     rerank: int = 128
@@ -195,8 +197,72 @@ def _search_block(index: DataFrame, quantizer: Quantizer, ids: np.ndarray, vecto
     return index.select("vec_id", "list", "codes", "bias", "v").mapInArrow(tidy(run), FOUND)
 
 
+def _complete_block(index: DataFrame, quantizer: Quantizer, ids: np.ndarray, vectors: list, radius: np.ndarray, k: int) -> DataFrame:
+    """FOUND: of each task, every query's k nearest rows within its radius, ties to smaller ids; rough is the score.
+
+    What cannot be told for numbers that overflow is verified, so each test is for rows that are surely farther.
+    """
+    same = np.flatnonzero([len(q) == quantizer.dim for q in vectors])
+    q = np.array([vectors[n] for n in same]).reshape(-1, quantizer.dim)
+
+    def run(batches):
+        with np.errstate(all="ignore"):
+            far, tables, best = np.sqrt(_squared(q, quantizer.coarse)), quantizer.tables(q), _Shortlists(len(vectors), k)
+            best.bar[:] = radius
+            q_size = np.sqrt((q * q).sum(axis=1))
+            for b in batches:
+                if not b.num_rows:
+                    continue
+                own, lists = b.column(0).to_numpy(), b.column(1).to_numpy()
+                x, at = matrix(b.column(4), quantizer.dim)
+                x_ids, x_list, bias = own[at], lists[at], b.column(3).to_numpy()[at]
+                codes = np.frombuffer(b"".join(b.column(2).to_pylist()), np.uint8).reshape(len(at), len(quantizer.parts))
+                for one in np.unique(x_list):
+                    of_list = np.flatnonzero(x_list == one)
+                    for r in (of_list[j:j + 1024] for j in range(0, len(of_list), 1024)):
+                        left = x[r] - quantizer.coarse[one]
+                        reach = np.sqrt((left * left).sum(axis=1))
+                        slack = 1e-6 * (q_size + np.sqrt((x[r] * x[r]).sum(axis=1)).max() + np.sqrt((quantizer.coarse[one] ** 2).sum()))
+                        m = np.flatnonzero(~(far[:, one] - reach.max() > best.bar[same] + slack))
+                        if not len(m):
+                            continue
+                        rough = far[m, one][:, None] ** 2 + bias[r]
+                        decoded = np.concatenate([book[codes[r, n]] for n, book in enumerate(quantizer.books)], axis=1)
+                        for n in range(len(quantizer.parts)):
+                            rough += tables[m, n][:, codes[r, n]]
+                        error = np.sqrt(((left - decoded) ** 2).sum(axis=1))
+                        bar = (best.bar[same[m]] + slack[m])[:, None]
+                        low = np.sqrt(np.maximum(rough, 0))  # nan stays, and is verified
+                        good = ~(low - error > bar + np.sqrt(1e-12) * slack[m][:, None]) & (x_ids[r] != ids[same[m]][:, None])
+                        good &= ~(np.sqrt(_squared(q[m], x[r])) > bar)
+                        i, j = np.nonzero(good)
+                        d = np.sqrt(((x[r[j]] - q[m[i]]) ** 2).sum(axis=1))
+                        keep = ~(d > best.bar[same[m[i]]])
+                        i, j, d = i[keep], j[keep], d[keep]
+                        best.add(same[m[i]], x_ids[r[j]], d, d)
+                for i in np.flatnonzero(lists == -1):  # of other dimensions
+                    p = np.array(b.column(4)[int(i)].as_py())
+                    n = np.array([n for n, v in enumerate(vectors) if len(v) == len(p) and ids[n] != own[i]], dtype=np.int64)
+                    d = np.array([float(np.sqrt(((p - vectors[k]) ** 2).sum())) for k in n])
+                    best.add(n, np.full(len(n), own[i]), d, d)
+            query, found, rough, score = best.prune()
+        yield pa.RecordBatch.from_arrays([pa.array(ids[query]), pa.array(found), pa.array(rough), pa.array(score)], names=[c.split()[0] for c in FOUND.split(", ")])
+
+    return index.select("vec_id", "list", "codes", "bias", "v").mapInArrow(tidy(run), FOUND)
+
+
+def _nearest_block(index: DataFrame, quantizer: Quantizer, ids: np.ndarray, vectors: list, s: IndexSettings, k: int) -> DataFrame:
+    """_complete_block with the radius that the lists nearest to each query give; the driver holds one number per query of the block."""
+    found, path = staged(_search_block(index, quantizer, ids, vectors, s), "ivf-near")
+    rank = F.row_number().over(Window.partitionBy("query_id").orderBy("score"))
+    at = {r.query_id: r.score for r in found.withColumn("n", rank).where(F.col("n") == k).collect()}
+    discard(index.sparkSession, path)
+    double = {i for i, n in zip(*np.unique(ids, return_counts=True)) if n > 1}  # two queries of one id: both look at all rows
+    return _complete_block(index, quantizer, ids, vectors, np.array([np.inf if i in double else at.get(int(i), np.inf) for i in ids]), k)
+
+
 def nearest(df: DataFrame, every: int = 100, k: int = K, id_col: str = "vec_id", vec_col: str = "embedding", s: IndexSettings = IndexSettings()) -> DataFrame:
-    """query_id, rank, vec_id, score: the k nearest rows found for each query, by Euclidean distance.
+    """query_id, rank, vec_id, score: the k nearest rows of each query, by Euclidean distance.
 
     Queries are rows whose id is divisible by `every`; candidates are all rows with another id.  Ties go to the smaller id;
     repeated rows are candidates each, and queries once.  Null ids, and vectors that are null, empty, zero or hold null or
@@ -206,9 +272,8 @@ def nearest(df: DataFrame, every: int = 100, k: int = K, id_col: str = "vec_id",
     found = None
     if quantizer is not None:
         queries = index.where(F.col("vec_id") % every == 0).select("vec_id", "v").distinct()
-        found = by_block(queries, s.query_block, lambda ids, vectors: _search_block(index, quantizer, ids, vectors, s))
+        found = by_block(queries, s.query_block, lambda ids, vectors: _nearest_block(index, quantizer, ids, vectors, s, k))
     if found is None:
         return df.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    rough, exact = (Window.partitionBy("query_id").orderBy(c, "vec_id") for c in ("rough", "score"))
-    short = found.withColumn("place", F.row_number().over(rough)).where(F.col("place") <= s.rerank)
-    return short.withColumn("rank", F.row_number().over(exact)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    exact = Window.partitionBy("query_id").orderBy("score", "vec_id")
+    return found.withColumn("rank", F.row_number().over(exact)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
